@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bundles, byte_bpe, jpeg_media, mixing, sharding
+from . import bundles, byte_bpe, jpeg_media, mixing, outliers, ranking, sharding
 from .common import shared_dir
 
 
@@ -15,6 +15,15 @@ def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+def op1_outliers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return outliers.judge_documents(_read(spark, sf_dir, "documents"))
+
+
+def op2_ranking(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _read(spark, sf_dir, "documents")
+    return ranking.score_documents(docs, ranking.train_on_tables(spark, docs, sf_dir))
+
+
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_documents(_read(spark, sf_dir, "documents"), mixing.MixPlan(repetition_limit=2.0))
 
@@ -36,7 +45,7 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op4_mixing, op6_warc, op7_byte_bpe, op8_media, op10_sharding)}
+    return {f.__name__: f for f in (op1_outliers, op2_ranking, op4_mixing, op6_warc, op7_byte_bpe, op8_media, op10_sharding)}
 
 
 def oracle_sql() -> dict[str, str]:
