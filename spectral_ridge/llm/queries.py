@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bundles, byte_bpe, jpeg_media, mixing, outliers, ranking, sharding
+from . import bundles, byte_bpe, jpeg_media, mixing, outliers, ranking, severity, sharding
 from .common import shared_dir
 
 
@@ -28,6 +28,11 @@ def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_documents(_read(spark, sf_dir, "documents"), mixing.MixPlan(repetition_limit=2.0))
 
 
+def op5_severity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _read(spark, sf_dir, "documents")
+    return severity.grade_documents(docs, severity.learn(docs, _read(spark, sf_dir, "labels")))
+
+
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bundles.read_archives(bundles.store_archives(_read(spark, sf_dir, "pages"), shared_dir(spark)))
 
@@ -45,7 +50,7 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_outliers, op2_ranking, op4_mixing, op6_warc, op7_byte_bpe, op8_media, op10_sharding)}
+    return {f.__name__: f for f in (op1_outliers, op2_ranking, op4_mixing, op5_severity, op6_warc, op7_byte_bpe, op8_media, op10_sharding)}
 
 
 def oracle_sql() -> dict[str, str]:
