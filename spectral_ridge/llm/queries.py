@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bundles, byte_bpe, jpeg_media, mixing, outliers, ranking, severity, sharding, trie_join
+from . import bundles, byte_bpe, jpeg_media, line_dedup, mixing, outliers, ranking, severity, sharding, trie_join
 from .common import shared_dir
 
 
@@ -49,12 +49,16 @@ def op8_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jpeg_media.media_digests(_read(spark, sf_dir, "documents"))
 
 
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.dedup_documents(_read(spark, sf_dir, "documents"))
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(_read(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_outliers, op2_ranking, op3_trie_join, op4_mixing, op5_severity, op6_warc, op7_byte_bpe, op8_media, op10_sharding)}
+    return {f.__name__: f for f in (op1_outliers, op2_ranking, op3_trie_join, op4_mixing, op5_severity, op6_warc, op7_byte_bpe, op8_media, op9_line_dedup, op10_sharding)}
 
 
 def oracle_sql() -> dict[str, str]:

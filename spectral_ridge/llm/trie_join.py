@@ -163,6 +163,13 @@ def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.nda
     label = np.arange(m)
     if m < 2:
         return label
+    if m <= 3:  # too few to share anything in a trie
+        for i in range(1, m):
+            for j in range(i):
+                a, b = len(sets[i]), len(sets[j])
+                if label[i] != label[j] and min(a, b) * 100 >= percent * max(a, b) > 0 and (sides is None or sides[i] != sides[j]) and len(np.intersect1d(sets[i], sets[j], assume_unique=True)) >= required_overlap(a, b, percent):
+                    label[label == max(label[i], label[j])] = min(label[i], label[j])
+        return label
     trie = SetTrie(sets)
     place = np.empty(m, dtype=np.int64)
     place[trie.order] = np.arange(m)
