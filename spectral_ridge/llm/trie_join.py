@@ -1,10 +1,11 @@
 """Similarity join of word n-gram sets by a prefix tree.
 
-Sets are sequences of 64-bit shingle hashes in one global order. Four steps, each exact:
+Sets are sequences of 64-bit shingle keys in one global order, rare shingles first. Four steps, each exact:
 
 1. Which shingles occur in two texts or more: counted over all shingles, dealt out by hash. A text
    can only have a partner if three quarters of its set are such shared shingles.
-2. Texts that pass are reduced to one per distinct set, and sets that share a shingle within the
+2. Texts that pass are reduced to one per distinct set, ordered by how many sets hold a shingle,
+   and sets that share a shingle within the
    prefix that any two similar sets must share are candidates; their components become blocks.
 3. In a block the ordered sets form a compressed trie. A probe walks it level by level: sets with
    a common beginning share the overlap counted there, and a subtree is left as soon as what
@@ -30,6 +31,8 @@ from .components import connected, local_stars, roots
 WORDS = 5
 PERCENT = 75
 BLOCK_SETS = 2048
+#: Shingles on one edge of the trie at most.
+EDGE = 48
 _MARK = 0xFFFF  # in place of a text's number: the shingle is in several texts of that slice
 _KEYS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 
@@ -99,13 +102,16 @@ class SetTrie:
             todo = [(lo, hi, start, at, -1)]
             while todo:
                 lo, hi, start, at, parent = todo.pop()
-                shared = min(common[lo + 1 : hi], default=int(self.sizes[lo])) if hi - lo > 1 else int(self.sizes[lo])
+                whole = min(common[lo + 1 : hi]) if hi - lo > 1 else int(self.sizes[lo])
+                shared = min(whole, start + EDGE)  # a long run is a chain of nodes: a walk can leave it early
                 node = len(edges)
                 edges.append(ordered[lo][start:shared])
                 first.append(lo), last.append(hi), depth.append(shared), level.append(at), children.append([])
                 if parent >= 0:
                     children[parent].append(node)
-                if hi - lo > 1:
+                if shared < whole:
+                    todo.append((lo, hi, shared, at + 1, node))
+                elif hi - lo > 1:
                     cuts = [lo, *[i for i in range(lo + 1, hi) if common[i] == shared], hi]
                     todo += [(a, b, shared, at + 1, node) for a, b in zip(cuts, cuts[1:]) if b - a < hi - lo]
 
@@ -170,6 +176,12 @@ def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.nda
                 if label[i] != label[j] and min(a, b) * 100 >= percent * max(a, b) > 0 and (sides is None or sides[i] != sides[j]) and len(np.intersect1d(sets[i], sets[j], assume_unique=True)) >= required_overlap(a, b, percent):
                     label[label == max(label[i], label[j])] = min(label[i], label[j])
         return label
+    # sets that share no shingle of their prefixes cannot be similar and are not asked for
+    heads = [s[: len(s) + (-percent * len(s) // 100) + 1] for s in sets]
+    names = np.unique(np.concatenate(heads), return_inverse=True)[1]
+    owner, cuts = np.repeat(np.arange(m), [len(h) for h in heads]), np.concatenate([[0], np.cumsum([len(h) for h in heads])])
+    order = np.argsort(names, kind="stable")
+    holders, runs = owner[order], np.concatenate([[0], np.cumsum(np.bincount(names))])
     trie = SetTrie(sets)
     place = np.empty(m, dtype=np.int64)
     place[trie.order] = np.arange(m)
@@ -183,6 +195,12 @@ def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.nda
         else:
             other &= sides[trie.order] != sides[a]
         other &= (100 * trie.sizes >= percent * len(probe)) & (percent * trie.sizes <= 100 * len(probe))
+        if other.any():
+            sharing = np.zeros(m, dtype=bool)
+            for k in names[cuts[a] : cuts[a + 1]].tolist():
+                if runs[k + 1] - runs[k] > 1:
+                    sharing[holders[runs[k] : runs[k + 1]]] = True
+            other &= sharing[trie.order]
         if other.any():
             hits = trie.order[trie.walk(probe, other, percent)]
             if len(hits):
@@ -297,6 +315,66 @@ def _sets_of(docs: DataFrame, words: int) -> DataFrame:
     return map_arrow(docs.select("doc_id", "text"), run, "doc_id long, tokens binary")
 
 
+def _rare_first(sets: DataFrame, buckets: int) -> DataFrame:
+    """(sid, tokens): the same sets under the global order of the join, rare shingles first.
+
+    A shingle's place is its number of sets (up to 65535), then its hash; both go into one 64-bit
+    key, so the order of keys is the order of the join. The numbers of sets are counted over all
+    sets, dealt out by hash.
+    """
+    shift = np.uint64(64 - int(buckets).bit_length() + 1)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        number = 0
+        for part in slices(batches, "tokens", 1 << 22):
+            block, number = (TaskContext.get().partitionId() << 32) + number, number + 1
+            raw = part.column("tokens").to_pylist()
+            data = b"".join(raw)
+            token, times = np.unique(np.frombuffer(data, np.uint64), return_counts=True)
+            rows = [(int(block % buckets), block, 1, data, np.array([part.column("sid").to_numpy(), [len(r) // 8 for r in raw]], dtype=np.int64).tobytes())]
+            cuts = np.searchsorted(token >> shift, np.arange(buckets + 1).astype(np.uint64))
+            short = ((token << np.uint64(64 - int(shift))) >> np.uint64(32)).astype(np.uint32)
+            for k in np.flatnonzero(np.diff(cuts)).tolist():
+                rows.append((k, block, 0, _planes(short[cuts[k] : cuts[k + 1]]), times[cuts[k] : cuts[k + 1]].astype(np.uint16).tobytes()))
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), _PARTS, strict=True)], schema=_PARTS)
+
+    def count(table: pa.Table) -> pa.Table:
+        out, parts = [], []
+        for bucket, block, kind, a, b in zip(*(table[c].to_pylist() for c in _PARTS.names), strict=True):
+            if kind == 1:
+                out.append((bucket, block, 1, a, b))
+            else:
+                parts.append((bucket, block, _from_planes(a, np.uint32), np.frombuffer(b, np.uint16)))
+        if parts:
+            names = np.unique(np.concatenate([p[2] for p in parts]), return_inverse=True)[1]
+            total = np.bincount(names, weights=np.concatenate([p[3] for p in parts]).astype(np.float64))
+            place = np.minimum(total, 0xFFFF).astype(np.uint16)[names]
+            low = 0
+            for bucket, block, short, _ in parts:
+                out.append((bucket, block, 0, place[low : low + len(short)].tobytes(), b""))
+                low += len(short)
+        return pa.table([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), _PARTS, strict=True)], schema=_PARTS)
+
+    def order(table: pa.Table) -> pa.Table:
+        replies, head = {}, None
+        for bucket, kind, a, b in zip(*(table[c].to_pylist() for c in ("bucket", "kind", "a", "b")), strict=True):
+            if kind == 1:
+                head = np.frombuffer(a, np.uint64), np.frombuffer(b, np.int64).reshape(2, -1)
+            else:
+                replies[bucket] = np.frombuffer(a, np.uint16)
+        data, (sids, lengths) = head
+        if not len(data):
+            return pa.table({"sid": sids, "tokens": pa.array([b""] * len(sids), pa.binary())})
+        token, at = np.unique(data, return_inverse=True)
+        place = np.concatenate([replies[k] for k in sorted(replies)]).astype(np.uint64)
+        keys = ((place << np.uint64(48)) | (token >> np.uint64(16)))[at]
+        stops = np.cumsum(lengths)
+        return pa.table({"sid": sids, "tokens": pa.array([np.sort(keys[b - n : b]).tobytes() for b, n in zip(stops.tolist(), lengths.tolist(), strict=True)], pa.binary())})
+
+    dealt = map_arrow(sets, deal, _PART).groupBy("bucket").applyInArrow(count, _PART)
+    return dealt.groupBy("block").applyInArrow(order, "sid long, tokens binary")
+
+
 def _prefix_rows(percent: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """Rows (kind, a, b): 0 is a prefix shingle and a set that holds it, once per batch; 1 is a
     candidate link between sets of this batch."""
@@ -404,6 +482,8 @@ def link_documents(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
     side = F.broadcast(wanted) if reps.count() <= broadcast_rows else wanted
     chosen = slim.join(side, slim["doc_id"] == side["sid"], "left_semi")
     sets = materialise(_sets_of(chosen, words).select(F.col("doc_id").alias("sid"), "tokens").dropDuplicates(["sid"]), "sets")
+    unranked, sets = sets, materialise(_rare_first(sets, buckets), "ranked-sets")
+    discard(unranked)
     rows = materialise(map_arrow(sets, _prefix_rows(percent), "kind int, a long, b long"), "prefixes")
     postings = rows.where("kind = 0").select("a", "b").repartition("a").sortWithinPartitions("a", "b")
     edges = map_arrow(postings, _runs, "u long, v long").union(rows.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v")))
