@@ -35,7 +35,7 @@ Q_START, Q_OTHER, Q_LETTER, Q_NUMBER, Q_WHITE, Q_GLUE, Q_OWED1, Q_OWED2, Q_DONE
 WHITE_SPACE = [9, 10, 11, 12, 13, 32, 133, 160, 5760, 8192, 8193, 8194, 8195, 8196, 8197, 8198, 8199, 8200, 8201, 8202, 8232, 8233, 8239, 8287, 12288]
 
 LANES = 2048
-CACHE_LIMIT = 400_000
+CACHE_LIMIT = 150_000
 
 
 @lru_cache(maxsize=1)

@@ -30,7 +30,7 @@ from .components import connected, local_stars, roots
 
 WORDS = 5
 PERCENT = 75
-BLOCK_SETS = 2048
+BLOCK_SETS = 1024
 #: Shingles on one edge of the trie at most.
 EDGE = 48
 _MARK = 0xFFFF  # in place of a text's number: the shingle is in several texts of that slice
@@ -49,7 +49,7 @@ class WordHashes(dict):
     """64-bit hash of each word, kept while the worker has room."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > 200_000:
             self.clear()
         found = self[word] = int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little")
         return found
@@ -176,6 +176,14 @@ def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.nda
                 if label[i] != label[j] and min(a, b) * 100 >= percent * max(a, b) > 0 and (sides is None or sides[i] != sides[j]) and len(np.intersect1d(sets[i], sets[j], assume_unique=True)) >= required_overlap(a, b, percent):
                     label[label == max(label[i], label[j])] = min(label[i], label[j])
         return label
+    # within a block the order may be the block's own: rare shingles first, by rank
+    lengths = np.array([len(s) for s in sets])
+    names, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)[1:]
+    rank = np.empty(len(times), dtype=np.uint64)
+    rank[np.argsort(times, kind="stable")] = np.arange(len(times), dtype=np.uint64)
+    stops = np.cumsum(lengths)
+    ranked = rank[names]
+    sets = [np.sort(ranked[b - n : b]) for b, n in zip(stops.tolist(), lengths.tolist(), strict=True)]
     # sets that share no shingle of their prefixes cannot be similar and are not asked for
     heads = [s[: len(s) + (-percent * len(s) // 100) + 1] for s in sets]
     names = np.unique(np.concatenate(heads), return_inverse=True)[1]
