@@ -29,9 +29,7 @@ def shared_dir(spark: SparkSession) -> str:
 def ship_package(spark: SparkSession) -> None:
     """Let Python workers import this package from the place the driver imports it from, and
     bound the batches they get by bytes: texts are of any length, so rows are no bound."""
-    held = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", "-1")
-    if not held.rstrip("b").lstrip("-").isdigit() or not 0 < int(held.rstrip("b")) <= BATCH_BYTES:
-        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
     root = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
     paths = spark.sparkContext.environment.get("PYTHONPATH", "")
     if root not in paths.split(os.pathsep):
