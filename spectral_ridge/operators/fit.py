@@ -29,7 +29,7 @@ SKETCH_TYPE = T.StructType([
     )
     for name in names.split()
 ])
-_ARROW = {"string": pa.string(), "int": pa.int32(), "bigint": pa.int64(), "double": pa.float64(), "binary": pa.large_binary(), "array<double>": pa.list_(pa.float64())}
+_ARROW = {"string": pa.string(), "int": pa.int32(), "bigint": pa.int64(), "double": pa.float64(), "binary": pa.binary(), "array<double>": pa.list_(pa.float64())}
 _COLUMNS = [(f.name, _ARROW[f.dataType.simpleString()]) for f in SKETCH_TYPE.fields]
 #: Sketches of groups that one task keeps open before it sends partial ones on.
 OPEN_GROUPS = 256
