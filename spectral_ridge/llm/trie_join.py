@@ -159,17 +159,18 @@ class SetTrie:
         return np.concatenate(hits) if hits else np.zeros(0, dtype=np.int64)
 
 
-def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.ndarray | None = None) -> np.ndarray:
+def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.ndarray | None = None, direct: int = 0) -> np.ndarray:
     """Smallest member of each set's component under similarity.
 
     A probe asks only for sets of other components so far, since links inside one tell nothing
-    new. With ``sides``, only pairs from different sides are asked for.
+    new. With ``sides``, only pairs from different sides are asked for. Up to ``direct`` sets are
+    compared one by one without a trie.
     """
     m = len(sets)
     label = np.arange(m)
     if m < 2:
         return label
-    if m <= 3:  # too few to share anything in a trie
+    if m <= direct:
         for i in range(1, m):
             for j in range(i):
                 a, b = len(sets[i]), len(sets[j])
@@ -422,36 +423,8 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
 
 
-def _join_blocks(percent: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    def solve(ids: list[int], sides: list[int], sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-        side = np.array(sides)
-        label = similar_groups(sets, percent, None if (side == side[0]).all() else side)
-        names = np.array(ids, dtype=np.int64)
-        return names, names[label]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, held = None, ([], [], [])
-        for batch in batches:
-            left, right = [], []
-            for k, sid, side, tokens in zip(batch.column("block").to_pylist(), batch.column("sid").to_pylist(), batch.column("side").to_pylist(), batch.column("tokens").to_pylist(), strict=True):
-                if k != key:
-                    if len(held[0]) > 1:
-                        u, v = solve(*held)
-                        left.append(u), right.append(v)
-                    key, held = k, ([], [], [])
-                held[0].append(sid), held[1].append(side), held[2].append(np.frombuffer(tokens, np.uint64))
-            if left:
-                u, v = np.concatenate(left), np.concatenate(right)
-                yield pa.RecordBatch.from_arrays([pa.array(u[u != v]), pa.array(v[u != v])], names=["u", "v"])
-        if len(held[0]) > 1:
-            u, v = solve(*held)
-            yield pa.RecordBatch.from_arrays([pa.array(u[u != v]), pa.array(v[u != v])], names=["u", "v"])
-
-    return run
-
-
 def block_rows(members: DataFrame, candidate: DataFrame, payload: str, block_sets: int = BLOCK_SETS, broadcast_rows: int = 1_000_000) -> DataFrame:
-    """(block, sid, side, payload) of each member of a candidate component, sorted by block.
+    """(block, whole, sid, side, payload) of each member of a candidate component, sorted by block.
 
     A component of up to ``block_sets`` members is one block. A larger one is dealt into chunks,
     and each pair of chunks is a block, so that every pair of members meets in one.
@@ -463,10 +436,50 @@ def block_rows(members: DataFrame, candidate: DataFrame, payload: str, block_set
     chunk = F.pmod(F.xxhash64("sid"), F.coalesce("chunks", F.lit(1))).cast("int")
     dealt = joined.withColumn("chunk", chunk).withColumn("other", F.explode(F.sequence(F.lit(0), F.coalesce("chunks", F.lit(1)) - 1)))
     block = F.xxhash64("root", F.least("chunk", "other"), F.greatest("chunk", "other"))
-    rows = dealt.select(block.alias("block"), "sid", F.col("chunk").alias("side"), payload)
+    rows = dealt.select(block.alias("block"), F.col("big").isNull().alias("whole"), "sid", F.col("chunk").alias("side"), payload)
     return rows.repartition("block").sortWithinPartitions("block", "sid")
 
 
+def joined_blocks(rows: DataFrame, solve: Callable) -> DataFrame:
+    """(node, root) from block rows. ``solve`` maps (sides or None, payloads) to the smallest
+    member of each one's component. A whole component's answer stands; chunked ones are put
+    together by their links."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: tuple[list, list, list] = ([], [], [])
+        key = (None, True)
+
+        def close(found: list) -> None:
+            ids, sides, payloads = held
+            if len(ids) > 1:
+                side, names = np.array(sides), np.array(ids, dtype=np.int64)
+                root = names[solve(None if (side == side[0]).all() else side, payloads)]
+                moved = root != names
+                found.append((names[moved], root[moved], np.full(int(moved.sum()), key[1])))
+
+        def out(found: list) -> Iterator[pa.RecordBatch]:
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*found, strict=True)], names=["u", "v", "whole"])
+
+        for batch in batches:
+            found: list = []
+            for block, whole, sid, side, payload in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if block != key[0]:
+                    close(found)
+                    key, held = (block, whole), ([], [], [])
+                for column, x in zip(held, (sid, side, payload), strict=True):
+                    column.append(x)
+            yield from out(found)
+        found = []
+        close(found)
+        yield from out(found)
+
+    links = materialise(map_arrow(rows, run, "u long, v long, whole boolean"), "block-links")
+    done = links.where("whole").select(F.col("u").alias("node"), F.col("v").alias("root"))
+    rest = links.where("not whole").select("u", "v")
+    return done if rest.isEmpty() else done.unionByName(connected(rest))
+
+
 def link_documents(docs: DataFrame, percent: int = PERCENT, words: int = WORDS, broadcast_rows: int = 4_000_000) -> DataFrame:
     """(doc_id, n_shingles, component_id) of each row.
 
@@ -497,8 +510,11 @@ def link_documents(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
     edges = map_arrow(postings, _runs, "u long, v long").union(rows.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v")))
     candidate = connected(edges)
     discard(rows)
-    blocks = block_rows(sets, candidate, "tokens")
-    links = connected(map_arrow(blocks, _join_blocks(percent), "u long, v long"))
+
+    def solve(sides: np.ndarray | None, payloads: list[bytes]) -> np.ndarray:
+        return similar_groups([np.frombuffer(x, np.uint64) for x in payloads], percent, sides)
+
+    links = joined_blocks(block_rows(sets, candidate, "tokens"), solve)
     named = reps.join(links, reps["sid"] == links["node"], "left").select("sig_hi", "sig_lo", F.coalesce("root", "sid").alias("root"))
     named = materialise(named, "set-roots").toDF("hi", "lo", "root")
     same = (F.col("sig_hi") == F.col("hi")) & (F.col("sig_lo") == F.col("lo")) & (F.col("n_shingles") > 0)
