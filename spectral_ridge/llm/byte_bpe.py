@@ -35,7 +35,9 @@ Q_START, Q_OTHER, Q_LETTER, Q_NUMBER, Q_WHITE, Q_GLUE, Q_OWED1, Q_OWED2, Q_DONE
 WHITE_SPACE = [9, 10, 11, 12, 13, 32, 133, 160, 5760, 8192, 8193, 8194, 8195, 8196, 8197, 8198, 8199, 8200, 8201, 8202, 8232, 8233, 8239, 8287, 12288]
 
 LANES = 2048
-CACHE_LIMIT = 150_000
+CACHE_LIMIT = 100_000
+#: Text bytes encoded at once: their pieces and ids are Python objects for a moment.
+SLICE = 1 << 19
 
 
 @lru_cache(maxsize=1)
@@ -273,7 +275,7 @@ def encode_documents(docs: DataFrame, ranks_path: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = codec(ranks_path)
-        for part in slices(batches, "text"):
+        for part in slices(batches, "text", SLICE):
             ids = coder.encode([t or "" for t in part.column("text").to_pylist()])
             yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), pa.array(map(len, ids), pa.int64()), pa.array(ids, pa.list_(pa.int32())), pa.array(map(coder.offsets, ids), pa.list_(pa.int32()))], schema=schema)
 
@@ -289,7 +291,7 @@ def token_digests(docs: DataFrame, ranks_path: str) -> DataFrame:
         coder = codec(ranks_path)
         sha = hashlib.sha256
         numbers = {i: b"%d" % i for i in coder.pieces}
-        for part in slices(batches, "text"):
+        for part in slices(batches, "text", SLICE):
             counts, ids_hex, text_hex = [], [], []
             for ids in coder.encode([t or "" for t in part.column("text").to_pylist()]):
                 counts.append(len(ids))

@@ -15,10 +15,10 @@ from pyspark.sql import DataFrame, SparkSession
 LOCAL_SHARED_DIR = "file:///tmp/checkpoints/corpus_ops"
 
 #: Text bytes handled by one vectorised step inside a Python worker.
-SLICE_BYTES = 1 << 21
+SLICE_BYTES = 1 << 20
 
 #: Bytes in one Arrow batch on its way to a Python worker, at most.
-BATCH_BYTES = 4 << 20
+BATCH_BYTES = 2 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:

@@ -49,7 +49,7 @@ class WordHashes(dict):
     """64-bit hash of each word, kept while the worker has room."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 200_000:
+        if len(self) > 100_000:
             self.clear()
         found = self[word] = int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little")
         return found
