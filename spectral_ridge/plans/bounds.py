@@ -24,8 +24,9 @@ def required_rows(tail: np.ndarray, gamma: float, eps: float, robust: bool = Fal
     k = np.arange(len(tail))
     need = k + tail / (gamma * eps * _half(robust))
     best = int(np.argmin(need))
-    rank = int(np.count_nonzero(np.asarray(tail) > 0))
-    return min(max(math.ceil(need[best] - 1e-12), best + 1), max(rank, 1)), best
+    rows = max(math.ceil(need[best] - 1e-12), best + 1)
+    whole = tail[-1] <= 0  # else these are bounds from a sketch, which say nothing about the rank
+    return (min(rows, max(int(np.count_nonzero(np.asarray(tail) > 0)), 1)) if whole else rows), best
 
 
 def required_gamma(tail: np.ndarray, ell: int, eps: float, robust: bool = False) -> float:
