@@ -81,7 +81,7 @@ class GammaGrid:
 
 @F.udtf(returnType=SKETCH_DDL)
 class RidgeFit:
-    """ridge_fit(TABLE(design) PARTITION BY ..., method, ell): partial sketch rows of a design with
+    """ridge_fit(TABLE(design) PARTITION BY (...), method, ell): partial sketch rows of a design with
     columns features and target; merge them with ``merge_sketches``."""
 
     def __init__(self):

@@ -48,7 +48,10 @@ def sparse_text(df: DataFrame, text: str, width: int, keep: Sequence[str] = ())
 
 def polynomial(features: Column, degree: int = 2) -> Column:
     """The features and their powers up to ``degree``."""
-    return F.flatten(F.array(*[F.transform(features, lambda x, p=p: F.pow(x, F.lit(p))) for p in range(1, degree + 1)]))
+    def power(p: int) -> Column:
+        return F.transform(features, lambda x: F.pow(x, F.lit(p)))
+
+    return F.flatten(F.array(*[power(p) for p in range(1, degree + 1)]))
 
 
 def interactions(features: Column) -> Column:
