@@ -32,18 +32,20 @@ def hash_features(df: DataFrame, columns: Sequence[str], width: int, name: str =
     """Signed hashing of (column, value) pairs to a dense array of ``width``."""
     hashes = [F.xxhash64(F.lit(c), F.col(c).cast("string")) for c in columns]
     terms = F.array(*[F.struct(F.pmod(h, F.lit(width)).alias("at"), F.when(F.shiftrightunsigned(h, 63) == 0, 1.0).otherwise(-1.0).alias("sign")) for h in hashes])
+    if width <= 64:  # plain expressions stay in generated code
+        parts = [(F.pmod(h, F.lit(width)), F.when(F.shiftrightunsigned(h, 63) == 0, 1.0).otherwise(-1.0)) for h in hashes]
+        return df.withColumn(name, F.array(*[sum((F.when(at == k, sign).otherwise(0.0) for at, sign in parts), F.lit(0.0)) for k in range(width)]))
     dense = F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda k: F.aggregate(F.filter("hash_terms", lambda t: t["at"] == k), F.lit(0.0), lambda s, t: s + t["sign"]))
     return df.withColumn("hash_terms", terms).withColumn(name, dense).drop("hash_terms")
 
 
 def sparse_text(df: DataFrame, text: str, width: int, keep: Sequence[str] = ()) -> DataFrame:
-    """(keep..., sparse struct<indices, values>): signed hashed word counts of the whole text."""
+    """(keep..., sparse struct<indices, values>): signed hashed words of the whole text, one entry a
+    word; entries of one index add up. Nothing is shuffled: the sketch sums them where the row is."""
     words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"[^\p{L}\p{N}]+"), lambda w: w != "")
-    hashed = F.transform(words, lambda w: F.xxhash64(w))
-    exploded = df.select(*keep, F.monotonically_increasing_id().alias("sparse_row"), hashed.alias("h"))
-    counts = exploded.select(*keep, "sparse_row", F.explode_outer("h").alias("h")).groupBy(*keep, "sparse_row", F.pmod("h", F.lit(width)).cast("int").alias("at")).agg(F.sum(F.when(F.shiftrightunsigned("h", 63) == 0, 1.0).otherwise(-1.0)).alias("v"))
-    packed = counts.groupBy(*keep, "sparse_row").agg(F.array_sort(F.collect_list(F.when(F.col("at").isNotNull(), F.struct("at", "v")))).alias("e"))
-    return packed.select(*keep, F.struct(F.col("e.at").alias("indices"), F.col("e.v").alias("values")).alias("sparse"))
+    hashed = df.select(*keep, F.transform(words, lambda w: F.xxhash64(w)).alias("h"))
+    at, sign = F.transform("h", lambda h: F.pmod(h, F.lit(width)).cast("int")), F.transform("h", lambda h: F.when(h >= 0, 1.0).otherwise(-1.0))
+    return hashed.select(*keep, F.struct(at.alias("indices"), sign.alias("values")).alias("sparse"))
 
 
 def polynomial(features: Column, degree: int = 2) -> Column:

@@ -140,7 +140,13 @@ class SparseSpectralSketcher(SpectralSketcher):
         self.waiting_rows = self.waiting_values = 0
 
     def update_sparse(self, lengths: np.ndarray, columns: np.ndarray, values: np.ndarray, y: np.ndarray) -> None:
-        """Fold sparse rows in: non-zeros of each row, their columns and values, and the targets."""
+        """Fold sparse rows in: entries of each row, their columns and values, and the targets.
+        Entries of one row and column add up."""
+        owner = np.repeat(np.arange(len(lengths)), lengths)
+        place, at = np.unique(owner * self.d + np.asarray(columns, dtype=np.int64), return_inverse=True)
+        values = np.bincount(at, weights=np.asarray(values, dtype=np.float64), minlength=len(place))
+        place, values = place[values != 0], values[values != 0]
+        lengths, columns = np.bincount(place // self.d, minlength=len(lengths)), place % self.d
         y = np.asarray(y, dtype=np.float64).reshape(len(lengths), self.t)
         rows = SparseRows(np.concatenate([[0], np.cumsum(lengths)]), columns.astype(np.int64), values.astype(np.float64), self.d)
         self.cross += rows.transposed_times(y)

@@ -208,7 +208,7 @@ def test_sparse_text_sketch(spark, sf):
     data = rows.collect()
     a = np.zeros((len(data), 128))
     for i, r in enumerate(data):
-        a[i, list(r["sparse"]["indices"])] = list(r["sparse"]["values"])
+        np.add.at(a[i], list(r["sparse"]["indices"]), list(r["sparse"]["values"]))
     b = np.array([r["target"] for r in data])
     row = collect_sketch(fit_sparse(rows, 128, 40))
     assert np.allclose(row.cross[:, 0], a.T @ b) and row.n_rows == len(data)
