@@ -21,6 +21,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -51,7 +52,7 @@ class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         if len(self) > 100_000:
             self.clear()
-        found = self[word] = int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little")
+        found = self[word] = xxhash.xxh3_64_intdigest(word)
         return found
 
 
@@ -159,24 +160,16 @@ class SetTrie:
         return np.concatenate(hits) if hits else np.zeros(0, dtype=np.int64)
 
 
-def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.ndarray | None = None, direct: int = 0) -> np.ndarray:
+def similar_groups(sets: list[np.ndarray], percent: int = PERCENT, sides: np.ndarray | None = None) -> np.ndarray:
     """Smallest member of each set's component under similarity.
 
     A probe asks only for sets of other components so far, since links inside one tell nothing
-    new. With ``sides``, only pairs from different sides are asked for. Up to ``direct`` sets are
-    compared one by one without a trie.
+    new. With ``sides``, only pairs from different sides are asked for.
     """
     m = len(sets)
     label = np.arange(m)
     if m < 2:
         return label
-    if m <= direct:
-        for i in range(1, m):
-            for j in range(i):
-                a, b = len(sets[i]), len(sets[j])
-                if label[i] != label[j] and min(a, b) * 100 >= percent * max(a, b) > 0 and (sides is None or sides[i] != sides[j]) and len(np.intersect1d(sets[i], sets[j], assume_unique=True)) >= required_overlap(a, b, percent):
-                    label[label == max(label[i], label[j])] = min(label[i], label[j])
-        return label
     # within a block the order may be the block's own: rare shingles first, by rank
     lengths = np.array([len(s) for s in sets])
     names, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)[1:]
