@@ -221,6 +221,11 @@ def _from_planes(data: bytes, dtype: type) -> np.ndarray:
     return np.ascontiguousarray(np.frombuffer(data, np.uint8).reshape(width, -1).T).view(dtype).reshape(-1)
 
 
+def _home(block: int, buckets: int) -> int:
+    """The bucket that a block's own rows pass through: blocks of all partitions spread evenly."""
+    return (block * 0x9E3779B97F4A7C15 % (1 << 64)) >> (64 - int(buckets).bit_length() + 1)
+
+
 _PARTS = pa.schema([("bucket", pa.int32()), ("block", pa.int64()), ("kind", pa.int32()), ("a", pa.binary()), ("b", pa.binary())])
 _PART = "bucket int, block long, kind int, a binary, b binary"
 
@@ -249,7 +254,7 @@ def _shared_counts(docs: DataFrame, buckets: int, words: int) -> DataFrame:
                 ids = piece.column("doc_id").cast(pa.int64())
                 known = np.array([(i is not None, i or 0) for i in ids.to_pylist()], dtype=np.int64).reshape(-1, 2)
                 head = np.concatenate([known, sizes[:, None], here[:, None], np.frombuffer(b"".join(signatures), np.int64).reshape(-1, 2)], axis=1)
-                rows = [(int(block % buckets), block, 1, head.astype(np.int64).tobytes(), b"")]
+                rows = [(_home(block, buckets), block, 1, head.astype(np.int64).tobytes(), b"")]
                 token, mark = tokens[at], np.where(times > 1, _MARK, owner[at]).astype(np.uint16)
                 bucket = (token >> shift).astype(np.int64)
                 cuts = np.searchsorted(bucket, np.arange(buckets + 1))
@@ -333,7 +338,7 @@ def _rare_first(sets: DataFrame, buckets: int) -> DataFrame:
             raw = part.column("tokens").to_pylist()
             data = b"".join(raw)
             token, times = np.unique(np.frombuffer(data, np.uint64), return_counts=True)
-            rows = [(int(block % buckets), block, 1, data, np.array([part.column("sid").to_numpy(), [len(r) // 8 for r in raw]], dtype=np.int64).tobytes())]
+            rows = [(_home(block, buckets), block, 1, data, np.array([part.column("sid").to_numpy(), [len(r) // 8 for r in raw]], dtype=np.int64).tobytes())]
             cuts = np.searchsorted(token >> shift, np.arange(buckets + 1).astype(np.uint64))
             short = ((token << np.uint64(64 - int(shift))) >> np.uint64(32)).astype(np.uint32)
             for k in np.flatnonzero(np.diff(cuts)).tolist():
@@ -473,7 +478,7 @@ def joined_blocks(rows: DataFrame, solve: Callable) -> DataFrame:
     return done if rest.isEmpty() else done.unionByName(connected(rest))
 
 
-def link_documents(docs: DataFrame, percent: int = PERCENT, words: int = WORDS, broadcast_rows: int = 4_000_000) -> DataFrame:
+def link_documents(docs: DataFrame, percent: int = PERCENT, words: int = WORDS, broadcast_rows: int = 1_000_000) -> DataFrame:
     """(doc_id, n_shingles, component_id) of each row.
 
     Rows link when 100 * overlap >= ``percent`` * union of their distinct ``words``-word shingles;
