@@ -58,14 +58,16 @@ def connected(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         if not mark[0]:
             break
         both = edges.union(edges.select(F.col("v"), F.col("u")).toDF("u", "v"))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), F.least("m", "u").alias("m"))
+        # written first, so that both sides of the join are plain shuffles, and one with a hot node can be split
+        least = materialise(both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), F.least("m", "u").alias("m")), "links-least")
+        nearest = least
         large = both.join(least, F.col("u") == F.col("w")).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         large = materialise(large, "links-large")
         least = large.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), "m")
         small = large.join(least, F.col("u") == F.col("w")).select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v")).distinct()
         before, edges = edges, materialise(small, "links-small")
-        discard(before)
-        discard(large)
+        for spent in (before, large, nearest):
+            discard(spent)
         was, mark = mark, edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v") % (1 << 40))).first()
         if tuple(mark) == tuple(was):
             break
