@@ -17,10 +17,11 @@ from .operators.predict import prediction_error
 from .operators.solve import certificate, coefficients, gram_of, solve, solve_components
 from .plans import bounds, metrics
 from .plans.gamma import gamma_losses
+from .plans.risk import monte_carlo, risk
 from .queries import EMB, query
 from .runtime import materialise
 from .sketch import make_sketcher
-from .sources.generators import rows_block
+from .sources.generators import planted, rows_block
 
 COMPARED = ("fd_ridge", "robust_fd_ridge", "truncated_svd_ridge", "two_level_ridge", "sign_projection_ridge", "count_sketch_ridge", "exact_ridge")
 RANDOMISED = ("two_level_ridge", "sign_projection_ridge", "count_sketch_ridge", "srht_ridge")
@@ -212,3 +213,50 @@ def experiment_daily_series(spark, sf_dir):
     """Longer series, more features: daily orders and daily prices."""
     sets = {f"{table}_{d}": (*_split(wl.workload_daily_shingles(spark, sf_dir, table, d)), 64.0) for table in ("orders", "lineitem") for d in (64,)}
     return error_frontier(spark, sets, ("fd_ridge", "robust_fd_ridge", "sign_projection_ridge"), (16, 32), 2)
+
+
+@query()
+def measure_prediction_gap(spark, sf_dir):
+    """Each row's prediction gap of the robust sketch, and the bound from its certificate."""
+    rows = materialise(wl.workload_high_rank(spark, sf_dir), "gap-rows")
+    approx, exact = (solve(fit_sketch(rows, EMB, m, 16), 512.0) for m in ("robust_fd_ridge", "exact_ridge"))
+    eps = approx.first()["certificate"]
+    x_norm = float(np.linalg.norm(exact.first()["coefficients"]))
+    norm = F.sqrt(F.aggregate("features", F.lit(0.0), lambda s, v: s + v * v))
+    return metrics.prediction_gap(rows, approx, exact, EMB).select("row_id", "gap", (F.lit(eps * x_norm) * norm).alias("bound"))
+
+
+@query()
+def measure_covariance_error(spark, sf_dir):
+    """Spectral error of each sketch against its a-priori bound, and the bound from the sketch alone."""
+    rows = materialise(wl.workload_high_rank(spark, sf_dir), "cov-rows")
+    gram, out = metrics.gram_matrix(rows, EMB), []
+    tail = bounds.tail_energy(np.linalg.eigvalsh(gram))
+    for ell in (4, 8, 16, 32):
+        row = collect_sketch(fit_sketch(rows, EMB, "fd_ridge", ell))
+        upper = bounds.tail_upper_bound(row.frob_sq, row.sigma)
+        for name, robust in (("plain", False), ("robust", True)):
+            out.append((name, ell, metrics.cov_error(gram, row, robust), bounds.cov_bound(tail, ell, robust), bounds.cov_bound(upper, ell, robust), row.shrink_total))
+    return spark.createDataFrame(out, "form string, ell int, cov_error double, bound double, bound_from_sketch double, shrink_total double")
+
+
+@query()
+def measure_space(spark, sf_dir):
+    """Rows, numbers and bytes that each method keeps for the same data."""
+    rows, out = materialise(wl.workload_high_rank(spark, sf_dir), "space-rows"), []
+    for method in COMPARED:
+        report = metrics.space_report(collect_sketch(fit_sketch(rows, EMB, method, 16)))
+        out.append((method, report["rows"], report["floats"], report["bytes"]))
+    return spark.createDataFrame(out, "method string, sketch_rows int, floats int, bytes int")
+
+
+@query()
+def measure_monte_carlo_risk(spark, sf_dir):
+    """Risk of the robust sketch by its closed form and by repeated noise; one sketch serves all draws."""
+    a, _ = wl.dense(wl.workload_high_rank(spark, sf_dir), 2000)
+    x, gram, gamma = ft.cosine_matrix(64) @ planted(64, 32, 0), a.T @ a, 512.0
+    row = collect_sketch(fit_sketch(wl.workload_high_rank(spark, sf_dir), EMB, "robust_fd_ridge", 16))
+    approx = gram_of(row)
+    closed = risk(gram, approx, x, 2.0, gamma)
+    drawn = monte_carlo(a, lambda c: np.linalg.solve(approx + gamma * np.eye(64), c), x, 2.0, 400)
+    return spark.createDataFrame([(closed.bias_sq, closed.variance, closed.risk, drawn)], "bias_sq double, variance double, risk double, monte_carlo double")

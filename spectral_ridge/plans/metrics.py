@@ -8,9 +8,9 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.design import RidgeSpec
+from ..operators.design import RidgeSpec, feature_column
 from ..operators.fit import collect_sketch, fit_sketch
-from ..operators.predict import prediction_error
+from ..operators.predict import dot, prediction_error
 from ..operators.solve import gram_of
 from ..sketch import SketchRow
 from ..sketch.linear import full_gram
@@ -45,6 +45,14 @@ def objective(df: DataFrame, models: DataFrame, spec: RidgeSpec, scale_by_rows:
     return joined.select("gamma", (F.col("residual_sq") + weight * F.col("x_sq")).alias("objective"))
 
 
+def prediction_gap(df: DataFrame, approx: DataFrame, exact: DataFrame, spec: RidgeSpec) -> DataFrame:
+    """Rows with ``gap``: how far the approximate prediction is from the exact one, for two models
+    of one penalty each."""
+    both = approx.select(F.col("coefficients").alias("gap_a")).crossJoin(exact.select(F.col("coefficients").alias("gap_b")))
+    change = F.zip_with("gap_a", "gap_b", lambda a, b: a - b)
+    return df.crossJoin(F.broadcast(both)).withColumn("gap", F.abs(dot(feature_column(df, spec), change))).drop("gap_a", "gap_b")
+
+
 def gram_matrix(df: DataFrame, spec: RidgeSpec) -> np.ndarray:
     """The exact Gram matrix, d x d, on the driver."""
     return full_gram(collect_sketch(fit_sketch(df, spec, "exact_ridge", 1)))

@@ -67,3 +67,14 @@ def test_findings(spark):
     assert bad["truncated_svd_ridge"] > 2 * bad["robust_fd_ridge"]
     pcr = QUERIES["experiment_pcr"](spark, "/root/testdata/sf0.1").toPandas()
     assert pcr[pcr.method == "pcr"]["coef_err"].max() > pcr[pcr.method == "ridge"]["coef_err"].max()
+
+
+def test_measures_hold(spark, sf):
+    gaps = QUERIES["measure_prediction_gap"](spark, sf).collect()
+    assert gaps and all(r["gap"] <= r["bound"] * (1 + 1e-9) for r in gaps)
+    cov = QUERIES["measure_covariance_error"](spark, sf).collect()
+    assert all(r["cov_error"] <= r["bound"] * (1 + 1e-9) <= r["bound_from_sketch"] * (1 + 1e-6) for r in cov)
+    risk = QUERIES["measure_monte_carlo_risk"](spark, sf).first()
+    assert abs(risk["monte_carlo"] / risk["risk"] - 1) < 0.1
+    space = {r["method"]: r["floats"] for r in QUERIES["measure_space"](spark, sf).collect()}
+    assert space["fd_ridge"] < space["exact_ridge"]
