@@ -62,7 +62,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_trie_join": JACCARD_SQL, "op4_mixing": MIX_SQL, "op6_warc": WARC_SQL}
+    return {"op3_trie_join": JACCARD_SQL, "op4_mixing": MIX_SQL, "op6_warc": WARC_SQL, "op10_sharding": SHARD_SQL}
 
 
 WARC_SQL = """
@@ -129,3 +129,21 @@ SELECT doc_id, source, n_tokens, CAST(epoch AS INTEGER) AS epoch, CAST(block AS
        CAST(slot AS BIGINT) AS slot, round(least(1.0, place / epochs), 9) AS position
 FROM placed WHERE epoch + 1 <= epochs OR place < epochs
 """
+
+#: CRC-32 byte by byte with its table built by the rule; MD5 order, exact byte positions.
+SHARD_SQL = """
+WITH tab AS (
+  SELECT list_transform(range(256), lambda n: list_reduce(range(8), lambda c, k: CASE WHEN c % 2 = 1 THEN xor(c // 2, 3988292384) ELSE c // 2 END, n)) AS crc),
+s AS (
+  SELECT doc_id, CAST(octet_length(encode(coalesce(text, ''))) AS BIGINT) + 1 AS size, md5(coalesce(text, '')) AS code,
+         list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'), lambda h: CAST('0x' || h AS BIGINT)) AS bytes
+  FROM documents),
+d AS (
+  SELECT doc_id, size, code, xor(list_reduce(bytes, lambda c, b: xor(c // 256, crc[(xor(c, b) % 256) + 1]), CAST(4294967295 AS BIGINT)), 4294967295) AS text_crc32
+  FROM s, tab),
+p AS (SELECT *, sum(size) OVER (ORDER BY code, doc_id, size ROWS UNBOUNDED PRECEDING) - size AS before, sum(size) OVER () AS total FROM d),
+q AS (SELECT *, CAST(least(before * 16 // total, 15) AS INTEGER) AS shard FROM p)
+SELECT doc_id, size, CAST(text_crc32 AS BIGINT) AS text_crc32, 'bytes' AS law, shard,
+       CAST(row_number() OVER (PARTITION BY shard ORDER BY code, doc_id, size) - 1 AS BIGINT) AS slot, CAST(NULL AS INTEGER) AS grown_shard
+FROM q
+"""
