@@ -4,9 +4,10 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.functions import PandasUDFType
 
 from ..operators.fit import _COLUMNS, SKETCH_TYPE
 from ..operators.solve import coefficients
@@ -46,7 +47,6 @@ def gram_udaf(ell: int = 8, method: str = "fd_ridge"):
     moments, as a grouped aggregate. It has no map-side part, so it is for small groups; large data
     goes through ``fit_sketch``."""
 
-    @F.pandas_udf(T.ArrayType(T.DoubleType()))
     def sketch_gram(p: pd.Series, q: pd.Series, t: pd.Series) -> list[float]:
         sketcher = make_sketcher(method, ell, 2)
         sketcher.update(np.column_stack([p, q]), t.to_numpy())
@@ -55,9 +55,7 @@ def gram_udaf(ell: int = 8, method: str = "fd_ridge"):
         g = b.T @ b
         return [float(x) for x in (g[0, 0], g[0, 1], g[1, 1], *row.cross[:, 0])]
 
-    from pyspark.sql.pandas.functions import PandasUDFType
-
-    return F.pandas_udf(sketch_gram.func, T.ArrayType(T.DoubleType()), PandasUDFType.GROUPED_AGG)
+    return F.pandas_udf(sketch_gram, T.ArrayType(T.DoubleType()), PandasUDFType.GROUPED_AGG)
 
 
 @F.udtf(returnType="row int, sigma double, idx int, value double")
@@ -105,10 +103,6 @@ class RidgeFit:
             yield tuple(to_struct(self.sketcher.finish()).values())
 
 
-def predict_expression(features: Column, coefs: Column) -> Column:
-    return F.aggregate(F.zip_with(features, coefs, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-
-
 def register(spark: SparkSession) -> None:
     """Register solve_ridge, vector_norm, sketch_rows, gamma_grid, ridge_fit, and the SQL functions
     dot and axpy (built-in expressions, no Python)."""

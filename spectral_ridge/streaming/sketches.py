@@ -2,15 +2,19 @@
 
 from __future__ import annotations
 
+import copy
+import pickle
 from collections.abc import Callable, Iterator, Sequence
 
+import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..operators.design import RidgeSpec, design_rows
+from ..operators.design import RidgeSpec, design_rows, usable
 from ..operators.fit import fit_sketch, merge_sketches, sketch_schema
+from ..operators.relational import count_sketch
 from ..operators.solve import solve
 from ..runtime import ship_package
 from ..sketch import SketchRow, make_sketcher
@@ -100,8 +104,6 @@ def windowed_sketches(rows: DataFrame, spec: RidgeSpec, method: str, ell: int, t
 
 def session_sketches(rows: DataFrame, spec: RidgeSpec, method: str, ell: int, time: str, gap: str, user: str, **options) -> DataFrame:
     """One sketch per user session: sessions are numbered by gaps, then folded like groups."""
-    from pyspark.sql import Window
-
     order = Window.partitionBy(user).orderBy(time)
     seconds = F.unix_seconds(F.col(time).cast("timestamp"))
     limit = F.lit(_seconds(gap))
@@ -129,12 +131,6 @@ def keyed_state_sketches(stream: DataFrame, spec: RidgeSpec, method: str, ell: i
     state = T.StructType([T.StructField("sketch", T.BinaryType())])
 
     def step(name: tuple, frames: Iterator[pd.DataFrame], held) -> Iterator[pd.DataFrame]:
-        import pickle
-
-        import numpy as np
-
-        from ..operators.design import usable
-
         sketcher = pickle.loads(held.get[0]) if held.exists else make_sketcher(method, ell, n_features, targets, seed, **options)
         for frame in frames:
             x, y, used = usable(np.stack(frame["features"].to_numpy()), np.stack(frame["target"].to_numpy()), policy)
@@ -142,7 +138,7 @@ def keyed_state_sketches(stream: DataFrame, spec: RidgeSpec, method: str, ell: i
             if len(x):
                 sketcher.update(x, y, frame["row_hash"].to_numpy()[used])
         held.update((pickle.dumps(sketcher),))
-        row: SketchRow = pickle.loads(pickle.dumps(sketcher)).finish()
+        row: SketchRow = copy.deepcopy(sketcher).finish()  # finishing flushes: the state goes on unflushed
         yield pd.DataFrame([{key: name[0], **row.to_dict()}])
 
     return rows.groupBy(key).applyInPandasWithState(step, schema, state, "update", "NoTimeout")
@@ -150,8 +146,6 @@ def keyed_state_sketches(stream: DataFrame, spec: RidgeSpec, method: str, ell: i
 
 def streaming_count_sketch(stream: DataFrame, key: str, features: Sequence[str], target: str, ell: int, seed: int = 17) -> DataFrame:
     """The count sketch as a native streaming aggregation: no Python state at all."""
-    from ..operators.relational import count_sketch
-
     return count_sketch(stream, F.col(key), [F.col(f) for f in features], F.col(target), ell, seed)
 
 
