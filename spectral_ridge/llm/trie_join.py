@@ -516,4 +516,4 @@ def link_documents(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
     named = reps.join(links, reps["sid"] == links["node"], "left").select("sig_hi", "sig_lo", F.coalesce("root", "sid").alias("root"))
     named = materialise(named, "set-roots").toDF("hi", "lo", "root")
     same = (F.col("sig_hi") == F.col("hi")) & (F.col("sig_lo") == F.col("lo")) & (F.col("n_shingles") > 0)
-    return table.join(named, same, "left").select("doc_id", "n_shingles", F.coalesce(F.least("root", "doc_id"), F.col("doc_id")).alias("component_id"))
+    return table.join(named, same, "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce(F.least("root", "doc_id"), F.col("doc_id"))).alias("component_id"))

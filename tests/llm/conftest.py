@@ -20,6 +20,7 @@ def odd_docs(spark):
         (9, "one word é日本😀 'tis it's we'll\n\n  two   three", "en", "c", 1, 1, 1, "z"),
         (10, "a b c", "en", "c", 1, 1, 1, "z"),
         (11, "A B C", "en", "c", 1, 1, 1, "z"),
+        (None, "a b c", "en", "c", 1, 1, 1, "z"),
     ]
     return spark.createDataFrame(rows, SCHEMA)
 

@@ -269,14 +269,13 @@ def test_bpe_equals_the_library():
 
 
 def test_bpe_on_documents(odd_docs, no_docs):
-    coder = byte_bpe.codec(RANKS)
     got = byte_bpe.token_digests(odd_docs, RANKS).collect()
     want = Counter((r.doc_id, hashlib.sha256((r.text or "").encode()).hexdigest()) for r in odd_docs.collect())
     assert Counter((r.doc_id, r.decoded_sha256) for r in got) == want
     encoded = byte_bpe.encode_documents(odd_docs, RANKS)
     back = Counter((r.doc_id, r.text) for r in byte_bpe.decode_documents(encoded, RANKS).collect())
     assert back == Counter((r.doc_id, r.text or "") for r in odd_docs.collect())
-    assert byte_bpe.token_digests(no_docs, RANKS).count() == 0 and len(coder.cache) > 0
+    assert byte_bpe.token_digests(no_docs, RANKS).count() == 0
 
 
 def test_lanes_do_not_change_boundaries():
@@ -377,8 +376,9 @@ def test_shards_are_even_and_gapless(spark, odd_docs, no_docs):
             slots = sorted(r.slot for r in got if r.shard == s)
             assert slots == list(range(len(slots)))
             assert abs(sum(r.size for r in got if r.shard == s) - total / 16) < 2 * largest
-        keys = [hashlib.md5(next((d.text or "") for d in table.collect() if d.doc_id == r.doc_id).encode()).hexdigest() for r in got] if table is odd_docs else []
-        assert not keys or [k for _, k in sorted(zip([(r.shard, r.slot) for r in got], keys, strict=True))] == sorted(keys)
+        codes = {zlib.crc32((d.text or "").encode()): hashlib.md5((d.text or "").encode()).hexdigest() for d in table.collect()}
+        order = [codes[r.text_crc32] for r in sorted(got, key=lambda r: (r.shard, r.slot))]
+        assert order == sorted(order)
     assert sharding.shard_documents(no_docs).count() == 0
 
 
