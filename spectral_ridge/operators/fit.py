@@ -31,8 +31,9 @@ SKETCH_TYPE = T.StructType([
 ])
 _ARROW = {"string": pa.string(), "int": pa.int32(), "bigint": pa.int64(), "double": pa.float64(), "binary": pa.binary(), "array<double>": pa.list_(pa.float64())}
 _COLUMNS = [(f.name, _ARROW[f.dataType.simpleString()]) for f in SKETCH_TYPE.fields]
-#: Sketches of groups that one task keeps open before it sends partial ones on.
+#: Sketches of groups that one task keeps open before it sends partial ones on, and their bytes.
 OPEN_GROUPS = 256
+OPEN_BYTES = 128 << 20
 
 
 def sketch_schema(df: DataFrame, groups: tuple[str, ...]) -> T.StructType:
@@ -49,6 +50,9 @@ def fold_batches(batches: Iterator[pa.RecordBatch], method: str, ell: int, width
     """Fold Arrow batches (groups..., features, target, row_hash) into one sketch per group."""
     part, open_, fields = TaskContext.get().partitionId() if TaskContext.get() else 0, {}, None
 
+    one = 8 * width * (width if method == "exact_ridge" else 2 * ell)
+    limit = max(2, min(OPEN_GROUPS, OPEN_BYTES // max(one, 1)))
+
     def emit(keys: list[tuple]) -> Iterator[pa.RecordBatch]:
         rows = [open_.pop(k).finish(part) for k in keys]
         yield from _table(keys, rows, fields).to_batches()
@@ -70,8 +74,8 @@ def fold_batches(batches: Iterator[pa.RecordBatch], method: str, ell: int, width
             parts = [(k, np.flatnonzero(at == i)) for k, i in numbers.items()]
         for key, rows in parts:
             if key not in open_:
-                if len(open_) >= OPEN_GROUPS:
-                    yield from emit(list(open_)[: OPEN_GROUPS // 2])
+                if len(open_) >= limit:
+                    yield from emit(list(open_)[: limit // 2])
                 open_[key] = make_sketcher(method, ell, width, targets, seed, **options)
             sketcher = open_[key]
             a, b, used = usable(x[rows], y[rows], policy)
