@@ -363,6 +363,33 @@ def test_few_lines_like_many():
         assert all((few[i] == few[j]) == (many[i] == many[j]) for i, j in itertools.combinations(range(len(lines)), 2))
 
 
+def test_line_dedup_finds_small_edits_of_short_lines(spark):
+    """Planted edits: one character at every length, one word from 50 characters on; unlike lines stay."""
+    rng = np.random.default_rng(11)
+    words = ["".join(rng.choice(list("abcdefghijklmnoprstuvw"), int(rng.integers(4, 9)))) for _ in range(3000)]
+    docs, pairs, wanted = [], {"char": [], "word": []}, 240
+    for k in range(wanted):
+        size, line = 20 + k * 131 // wanted, []
+        while len(" ".join(line)) < size:
+            line.append(str(rng.choice(words)))
+        at, kind = int(rng.integers(1, len(line) - 1)), "char" if k % 2 or size < 50 else "word"
+        other = [*line[:at], line[at][:1] + "z" + line[at][2:] if kind == "char" else str(rng.choice(words)), *line[at + 1 :]]
+        docs += [(2 * k, " ".join(line)), (2 * k + 1, " ".join(other))]
+        pairs[kind].append(k)
+    table = spark.createDataFrame(docs, "doc_id long, text string")
+    found = {r.doc_id: r.keep_doc_id for r in line_dedup.duplicate_lines(table).collect()}
+    assert all(a == b + 1 and b % 2 == 0 for a, b in found.items())
+    for kind, least in (("char", 1.0), ("word", 0.9)):
+        assert sum(2 * k + 1 in found for k in pairs[kind]) >= least * len(pairs[kind])
+
+
+def test_gap_values_meet_by_one_word():
+    lines = [b"one two three four five six", b"one two THREE four five six", b"one two four five six", b"one two three four five six seven", b"two one three four five six", b"alone here"]
+    number, value = line_dedup.gap_values(lines, trie_join.WordHashes())
+    of = [set(value[number == k].tolist()) for k in range(len(lines))]
+    assert all(of[0] & of[k] for k in (1, 2, 3)) and not of[2] & of[4] and not of[5] and len(of[0]) == 7
+
+
 # ---------------------------------------------------------------- op10
 
 def test_shards_are_even_and_gapless(spark, odd_docs, no_docs):
