@@ -25,7 +25,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without lines that another document, or an earlier line, keeps. ``n_chars``
     follows the new text; a document that has lost every line with a word goes."""
-    cut = line_dedup.remove_lines(docs, line_dedup.duplicate_lines(docs))
+    cut = line_dedup.remove_lines(docs, line_dedup.duplicate_lines(docs, exact_short=True))
     left = cut.where((F.col("n_removed") == 0) | F.col("text").rlike(mixing.WORD))
     names = {"n_chars": F.when(F.col("n_removed") > 0, F.char_length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))} if "n_chars" in docs.columns else {}
     return left.withColumns(names).select(*docs.columns)

@@ -50,7 +50,7 @@ def op8_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_dedup.dedup_documents(_read(spark, sf_dir, "documents"))
+    return line_dedup.dedup_documents(_read(spark, sf_dir, "documents"), exact_short=True)
 
 
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,7 +5,7 @@ from collections import Counter
 import corpus_pipeline
 from pyspark.sql import functions as F
 
-from spectral_ridge.llm import byte_bpe, ranking, trie_join
+from spectral_ridge.llm import byte_bpe, queries, ranking, trie_join
 
 SF = "/root/testdata/sf0.001"
 
@@ -52,6 +52,16 @@ def test_line_stage_drops_only_emptied_documents(spark):
     assert got == {1: (line, len(line)), 3: ("", 0), 4: ("and a second line that is found only here", 41)}
 
 
+def test_line_stage_takes_repeats_of_short_lines(spark, tmp_path):
+    line = "A line of text that is long enough to count as one and that comes twice in this small collection"
+    rows = [(1, f"Title here\n\n{line}\nThe end"), (2, f"Title here\n\n{line}\nThe end"), (3, "Own title\nThe end"), (None, "The end")]
+    docs = spark.createDataFrame([(*r, "en", "s", len(r[1])) for r in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    assert {r.doc_id: r.text for r in corpus_pipeline.lines(spark, docs, SF).collect()} == {1: rows[0][1], 3: "Own title", None: "The end"}
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: (r.text, r.n_removed) for r in queries.op9_line_dedup(spark, str(tmp_path)).collect()}
+    assert got == {1: (rows[0][1], 0), 2: ("", 3), 3: ("Own title", 1), None: ("The end", 0)}
+
+
 def test_run_returns_tokens(spark):
     out = corpus_pipeline.run(spark, SF)
     assert out.columns == ["doc_id", "n_tokens", "tokens", "token_offsets"]
