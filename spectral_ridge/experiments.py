@@ -17,7 +17,7 @@ from .operators.predict import prediction_error
 from .operators.solve import certificate, coefficients, gram_of, solve, solve_components
 from .plans import bounds, metrics
 from .plans.gamma import gamma_losses
-from .plans.risk import monte_carlo, risk
+from .plans.risk import moments_risk, noise_moments, risk
 from .queries import EMB, query
 from .runtime import materialise
 from .sketch import make_sketcher
@@ -267,10 +267,9 @@ def measure_space(spark, sf_dir):
 @query()
 def measure_monte_carlo_risk(spark, sf_dir):
     """Risk of the robust sketch by its closed form and by repeated noise; one sketch serves all draws."""
-    a, _ = wl.dense(wl.workload_high_rank(spark, sf_dir), 2000)
-    x, gram, gamma = ft.cosine_matrix(64) @ planted(64, 32, 0), a.T @ a, 512.0
-    row = collect_sketch(fit_sketch(wl.workload_high_rank(spark, sf_dir), EMB, "robust_fd_ridge", 16))
-    approx = gram_of(row)
+    rows = materialise(wl.workload_high_rank(spark, sf_dir), "risk-rows")
+    x, gram, gamma = ft.cosine_matrix(64) @ planted(64, 32, 0), metrics.gram_matrix(rows, EMB), 512.0
+    approx = gram_of(collect_sketch(fit_sketch(rows, EMB, "robust_fd_ridge", 16)))
     closed = risk(gram, approx, x, 2.0, gamma)
-    drawn = monte_carlo(a, lambda c: np.linalg.solve(approx + gamma * np.eye(64), c), x, 2.0, 400)
+    drawn = moments_risk(gram, noise_moments(rows, 64, 400), lambda c: np.linalg.solve(approx + gamma * np.eye(64), c), x, 2.0)
     return spark.createDataFrame([(closed.bias_sq, closed.variance, closed.risk, drawn)], "bias_sq double, variance double, risk double, monte_carlo double")

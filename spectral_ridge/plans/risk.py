@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 
 @dataclass
@@ -53,3 +57,29 @@ def monte_carlo(a: np.ndarray, solve_cross, x_true: np.ndarray, noise_sd: float,
     b = (a @ x_true)[:, None] + noise_sd * rng.standard_normal((len(a), draws))
     gap = a @ (solve_cross(a.T @ b) - x_true[:, None])
     return float((gap**2).sum(axis=0).mean())
+
+
+def noise_moments(rows: DataFrame, width: int, draws: int, seed: int = 0) -> np.ndarray:
+    """Moments (d x draws) of all rows with unit noise, in one pass. A row's noise comes from its
+    row_id: retries and other splits draw the same."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((width, draws))
+        for batch in batches:
+            if batch.num_rows:
+                a = np.array(batch.column(1).to_pylist(), dtype=np.float64)
+                noise = np.array([np.random.default_rng([seed, i & 0xFFFFFFFFFFFFFFFF]).standard_normal(draws) for i in batch.column(0).to_pylist()])
+                total += a.T @ noise
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(width * draws, dtype=np.int32)), pa.array(total.reshape(-1))], names=["cell", "value"])
+
+    sums = rows.select(F.col("row_id").cast("long"), "features").mapInArrow(run, "cell int, value double").groupBy("cell").agg(F.sum("value")).collect()
+    out = np.zeros(width * draws)
+    for cell, value in sums:
+        out[cell] = value
+    return out.reshape(width, draws)
+
+
+def moments_risk(gram: np.ndarray, noise: np.ndarray, solve_cross, x_true: np.ndarray, noise_sd: float) -> float:
+    """As ``monte_carlo``, from the Gram matrix and the noise moments of all rows."""
+    gap = solve_cross((gram @ x_true)[:, None] + noise_sd * noise) - x_true[:, None]
+    return float((gap * (gram @ gap)).sum(axis=0).mean())

@@ -360,3 +360,18 @@ def test_sql_functions(spark, rows, dense):
     merged = merge_sketches(partial.withColumn("part_id", F.monotonically_increasing_id() % 7), (), 16, 7)
     assert np.allclose(coefs(solve(merged, 5.0)), reference(a, b, 5.0), atol=1e-8)
     assert long_coefficients(solve(merged, [1.0, 2.0])).count() == 128
+
+
+def test_monte_carlo_risk_covers_every_row(spark, sf, tmp_path, monkeypatch):
+    from spectral_ridge import experiments
+
+    base = spark.read.parquet(f"{sf}/embeddings.parquet")
+    more = base.crossJoin(spark.range(6).withColumnRenamed("id", "copy")).withColumn("vec_id", (base["vec_id"] + 100_000 * F.col("copy")).cast(base.schema["vec_id"].dataType)).drop("copy")
+    more.coalesce(1).write.parquet(f"{tmp_path}/embeddings.parquet")
+    a, _ = wl.dense(wl.workload_high_rank(spark, str(tmp_path)), 10_000)
+    assert len(a) > 2000
+    used, plain = [], experiments.risk
+    monkeypatch.setattr(experiments, "risk", lambda gram, *rest: used.append(gram) or plain(gram, *rest))
+    got = experiments.measure_monte_carlo_risk(spark, str(tmp_path)).first()
+    assert np.allclose(used[0], a.T @ a)
+    assert abs(got.monte_carlo - got.risk) <= 0.1 * got.risk
