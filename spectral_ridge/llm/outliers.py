@@ -34,8 +34,9 @@ _BINS = 24  # distance bins per e-fold
 @dataclass(frozen=True)
 class OutlierRules:
     """``coverage``: share of a group that the estimate rests on; ``tail``: chance that a document
-    from a normal group is rejected; ``min_group``: smaller groups join the rest of their language,
-    and small rests one common group."""
+    from a normal group is rejected; ``min_group``: smaller groups are judged by the estimate of
+    their whole language, and where that is small too, by that of all sound rows. Every sound row
+    gets a verdict, however few there are."""
 
     coverage: float = 0.75
     tail: float = 1e-7
@@ -111,17 +112,26 @@ def statistics_table(docs: DataFrame, rules: OutlierRules = OutlierRules()) -> D
     return table.withColumn("base_failed", failed)
 
 
-def _named_groups(stats: DataFrame, rules: OutlierRules) -> DataFrame:
-    """Rows with ``grp``: language and source, or a wider pool where these have too few rows."""
+def _named_groups(stats: DataFrame, rules: OutlierRules) -> tuple[DataFrame, DataFrame]:
+    """Rows with ``grp``, language and source or the wider pool that judges them where these have
+    too few rows; and the sound rows of every group in use: a pool holds all rows of its language,
+    or of the table, those of larger groups too."""
     lang, source = F.coalesce("lang", F.lit("\u0000")), F.coalesce("source", F.lit("\u0000"))
-    pair, rest = F.concat_ws("\u001f", F.lit("s"), lang, source), F.concat_ws("\u001f", F.lit("l"), lang)
-    named = stats.withColumns({"pair": pair, "rest": rest})
-    sizes = named.where("not base_failed").groupBy("pair", "rest").agg(F.count("*").alias("n"))
-    rests = sizes.where(F.col("n") < rules.min_group).groupBy("rest").agg(F.sum("n").alias("m"))
-    pools = sizes.where(F.col("n") < rules.min_group).join(rests, "rest").select(F.col("pair").alias("small"), F.when(F.col("m") >= rules.min_group, F.col("rest")).otherwise("all").alias("pool"))
+    pair, whole = F.concat_ws("\u001f", F.lit("s"), lang, source), F.concat_ws("\u001f", F.lit("l"), lang)
+    named = stats.withColumns({"pair": pair, "whole": whole})
+    sizes = named.where("not base_failed").groupBy("pair", "whole").agg(F.count("*").alias("n"))
+    wholes = sizes.groupBy("whole").agg(F.sum("n").alias("m"))
+    pools = sizes.where(F.col("n") < rules.min_group).join(wholes, "whole").select(F.col("pair").alias("small"), F.when(F.col("m") >= rules.min_group, F.col("whole")).otherwise("all").alias("pool"))
     pools = materialise(pools, "outlier-pools")
-    side = F.broadcast(pools) if pools.count() <= rules.broadcast_groups else pools
-    return named.join(side, F.col("pair") == F.col("small"), "left").withColumn("grp", F.coalesce("pool", "pair")).drop("pair", "rest", "small", "pool")
+    near = lambda x: F.broadcast(x) if x.count() <= rules.broadcast_groups else x
+    judged = named.join(near(pools), F.col("pair") == F.col("small"), "left").withColumn("grp", F.coalesce("pool", "pair"))
+    sound = judged.where("not base_failed")
+    members = sound.where("pool is null").select("grp", *VECTOR)
+    used = pools.select(F.col("pool").alias("used")).distinct()
+    members = members.unionByName(sound.join(near(used), F.col("whole") == F.col("used"), "left_semi").select(F.col("whole").alias("grp"), *VECTOR))
+    if not pools.where("pool = 'all'").isEmpty():
+        members = members.unionByName(sound.select(F.lit("all").alias("grp"), *VECTOR))
+    return judged.drop("pair", "whole", "small", "pool"), members
 
 
 MODEL = ", ".join(["grp string", "n long", *[f"m{i} double" for i in range(P)], *[f"p{i}_{j} double" for i, j in _PAIRS], "scale double"])
@@ -210,11 +220,10 @@ def judge_documents(docs: DataFrame, rules: OutlierRules = OutlierRules()) -> Da
     other columns are ignored.
     """
     stats = materialise(statistics_table(docs, rules), "outlier-stats")
-    named = _named_groups(stats, rules)
-    sound = materialise(named.where("not base_failed").select("grp", *VECTOR), "outlier-vectors")
+    named, members = _named_groups(stats, rules)
+    sound = materialise(members, "outlier-vectors")
     model = fit_groups(sound, rules)
     judged = _with_model(named, model, rules).withColumn("distance", F.when(~F.col("base_failed"), _distance() / F.col("scale")))
-    few = F.col("n") < rules.min_group
     cutoff = chi2_quantile(1 - rules.tail, P)
-    kept = ~F.col("base_failed") & (F.coalesce(few, F.lit(True)) | F.coalesce(F.col("distance") <= cutoff, F.lit(True)))
+    kept = ~F.col("base_failed") & F.coalesce(F.col("distance") <= cutoff, F.lit(True))
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept.alias("kept"), F.round("distance", 6).alias("distance"))

@@ -56,6 +56,19 @@ def test_outliers_reject_far_rows_and_keep_the_cloud(spark):
     assert {r.doc_id: r.kept for r in salted.collect()} == kept
 
 
+def test_outliers_judge_small_tables_and_rare_groups(spark):
+    rng = np.random.default_rng(1)
+    vocabulary = [f"w{k}" for k in range(500)]
+    plain = lambda: " ".join(rng.choice(vocabulary, 120))
+    junk = lambda: " ".join(f"{w}%%%" for w in rng.choice(vocabulary, 120))
+    small = [(i, plain(), "en", "s") for i in range(45)] + [(1000 + i, junk(), "en", "s") for i in range(5)]
+    rare = [(i, plain(), "en", "s") for i in range(200)] + [(1000 + i, junk(), "xx", "t") for i in range(60)]
+    for rows in (small, rare):
+        docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+        kept = {r.doc_id: r.kept for r in outliers.judge_documents(docs).collect()}
+        assert len(kept) == len(rows) and all(kept[i] == (i < 1000) for i in kept)
+
+
 def test_repeated_words_edges():
     ids = lambda s: np.array([ord(c) for c in s])
     assert outliers.repeated_words(ids("abcdefgh")) == 0
