@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import contextlib
 import ctypes
 import os
 import uuid
@@ -11,6 +10,7 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Folder for intermediate tables where the session names none (tests on one machine).
 LOCAL_SHARED_DIR = "file:///tmp/checkpoints/corpus_ops"
@@ -23,8 +23,12 @@ BATCH_BYTES = 2 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir`` where it is set."""
-    return (spark.sparkContext.getConf().get("spark.checkpoint.dir") or LOCAL_SHARED_DIR).rstrip("/")
+    """The folder that driver and executors share: ``spark.checkpoint.dir`` where it is set. Only a
+    session on one machine may leave it unset."""
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    return (named or LOCAL_SHARED_DIR).rstrip("/")
 
 
 def ship_package(spark: SparkSession) -> None:
@@ -46,18 +50,28 @@ def materialise(df: DataFrame, label: str, **options: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def discard(df: DataFrame) -> None:
-    """Delete the files behind a table made by :func:`materialise` that nothing needs any more."""
-    spark = df.sparkSession
-    base = shared_dir(spark).split(":", 1)[-1].lstrip("/")
-    jvm = spark.sparkContext._jvm
-    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        if base in folder:
-            path = jvm.org.apache.hadoop.fs.Path(folder)
-            with contextlib.suppress(Exception):
+def discard(*tables: DataFrame) -> None:
+    """Delete the files behind tables made by :func:`materialise` that nothing needs any more."""
+    for df in tables:
+        spark = df.sparkSession
+        base = shared_dir(spark).split(":", 1)[-1].lstrip("/")
+        jvm = spark.sparkContext._jvm
+        for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+            if base in folder:
+                path = jvm.org.apache.hadoop.fs.Path(folder)
                 path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def bucket_count(docs: DataFrame, bucket_bytes: int = 16 << 20, least: int = 128) -> int:
+    """Buckets, a power of two, for what the texts are made of: each holds that of about
+    ``bucket_bytes`` of text."""
+    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = least
+    while buckets * bucket_bytes < total and buckets < 1 << 22:
+        buckets *= 2
+    return buckets
+
+
 def text_bytes(column: pa.Array) -> list[bytes]:
     """UTF-8 bytes of each string; a null becomes empty bytes."""
     kind = pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()

@@ -40,37 +40,55 @@ def local_stars(left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.nda
     return names[moved], root[moved]
 
 
+#: Links of a task that are reduced together.
+REDUCE_LINKS = 1 << 20
+
+
 def _reduce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def stars(held: list[np.ndarray]) -> pa.RecordBatch:
+        left, right = np.concatenate(held, axis=1)
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in local_stars(left, right)], names=["u", "v"])
+
+    held, count = [], 0
     for batch in batches:
-        u, v = (batch.column(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in (0, 1))
-        node, root = local_stars(u, v)
-        if len(node):
-            yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(root)], names=["u", "v"])
+        held.append(np.stack([batch.column(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in (0, 1)]))
+        count += batch.num_rows
+        if count >= REDUCE_LINKS:
+            yield stars(held)
+            held, count = [], 0
+    if count:
+        yield stars(held)
+
+
+def _all_stars(edges: DataFrame) -> bool:
+    """Whether each node has one edge to a smaller node, which itself has none."""
+    ends = edges.select(F.col("u").alias("node"), F.lit(1).alias("below"), F.lit(0).alias("above"))
+    ends = ends.unionAll(edges.select("v", F.lit(0), F.lit(1)))
+    seen = ends.groupBy("node").agg(F.sum("below").alias("below"), F.max("above").alias("above"))
+    return seen.where("below > 1 or (below > 0 and above > 0)").isEmpty()
 
 
 def connected(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, root) for each node of ``links`` (u, v) that is not itself the smallest of its
-    component. Null ends and self links are ignored; no links give an empty result."""
-    clean = links.where("u is not null and v is not null and u <> v").select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v"))
+    component. Null ends and self links are ignored; no links give an empty result. The result is a
+    table in the shared folder, for the caller to discard."""
+    clean = links.where("u is not null and v is not null and u <> v")
+    clean = clean.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v"))
     edges = materialise(map_arrow(clean, _reduce, "u long, v long").distinct(), "links")  # u > v throughout
-    mark = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v") % (1 << 40))).first()
     for _ in range(max_rounds):
-        if not mark[0]:
+        if _all_stars(edges):
             break
         both = edges.union(edges.select(F.col("v"), F.col("u")).toDF("u", "v"))
         # written first, so that both sides of the join are plain shuffles, and one with a hot node can be split
-        least = materialise(both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), F.least("m", "u").alias("m")), "links-least")
-        nearest = least
-        large = both.join(least, F.col("u") == F.col("w")).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        large = materialise(large, "links-large")
+        nearest = both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), F.least("m", "u").alias("m"))
+        nearest = materialise(nearest, "links-least")
+        large = both.join(nearest, F.col("u") == F.col("w")).where("v > u")
+        large = materialise(large.select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), "links-large")
         least = large.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), "m")
-        small = large.join(least, F.col("u") == F.col("w")).select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v")).distinct()
+        up = F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v"))
+        small = large.join(least, F.col("u") == F.col("w")).select(up.alias("u"), F.col("m").alias("v")).distinct()
         before, edges = edges, materialise(small, "links-small")
-        for spent in (before, large, nearest):
-            discard(spent)
-        was, mark = mark, edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v") % (1 << 40))).first()
-        if tuple(mark) == tuple(was):
-            break
+        discard(before, nearest, large)
     else:
         raise RuntimeError("components did not settle")
     return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))

@@ -26,12 +26,15 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import discard, first_columns, map_arrow, materialise, ship_package, slices, text_bytes
-from .components import connected, local_stars, roots
+from .common import bucket_count, discard, first_columns, map_arrow, materialise, ship_package, slices, text_bytes
+from .components import connected, local_stars
 
 WORDS = 5
 PERCENT = 75
-BLOCK_SETS = 1024
+#: Members of a block's chunk, and bytes of their payloads, at most (one member at least).
+BLOCK_SETS, BLOCK_BYTES = 1024, 16 << 20
+#: Payload bytes of whole blocks that are solved together.
+SOLVE_BYTES = 1 << 20
 #: Shingles on one edge of the trie at most.
 EDGE = 48
 _MARK = 0xFFFF  # in place of a text's number: the shingle is in several texts of that slice
@@ -250,7 +253,7 @@ def _shared_counts(docs: DataFrame, buckets: int, words: int) -> DataFrame:
                 times = np.diff(np.append(at, len(tokens)))
                 several = np.repeat(times > 1, times)
                 here = np.bincount(owner[several], minlength=len(sets))
-                signatures = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]
+                signatures = [_signature(s) for s in sets]
                 ids = piece.column("doc_id").cast(pa.int64())
                 known = np.array([(i is not None, i or 0) for i in ids.to_pylist()], dtype=np.int64).reshape(-1, 2)
                 head = np.concatenate([known, sizes[:, None], here[:, None], np.frombuffer(b"".join(signatures), np.int64).reshape(-1, 2)], axis=1)
@@ -310,24 +313,31 @@ def _shared_counts(docs: DataFrame, buckets: int, words: int) -> DataFrame:
     return counted.groupBy("block").applyInArrow(collect, "doc_id long, n_shingles long, n_shared long, sig_hi long, sig_lo long")
 
 
+def _signature(shingles: np.ndarray) -> bytes:
+    return hashlib.blake2b(shingles.tobytes(), digest_size=16).digest()
+
+
 def _sets_of(docs: DataFrame, words: int) -> DataFrame:
-    schema = pa.schema([("doc_id", pa.int64()), ("tokens", pa.binary())])
+    """(hi, lo, tokens): signature and shingles of each text."""
+    schema = pa.schema([("hi", pa.int64()), ("lo", pa.int64()), ("tokens", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
         for part in slices(batches, "text"):
-            sets = [shingle_set(t, hashes, words).tobytes() for t in text_bytes(part.column("text"))]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), pa.array(sets, pa.binary())], schema=schema)
+            sets = [shingle_set(t, hashes, words) for t in text_bytes(part.column("text"))]
+            signs = np.frombuffer(b"".join(map(_signature, sets)), np.int64).reshape(-1, 2)
+            columns = [pa.array(np.ascontiguousarray(x)) for x in signs.T]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array([x.tobytes() for x in sets], pa.binary())], schema=schema)
 
-    return map_arrow(docs.select("doc_id", "text"), run, "doc_id long, tokens binary")
+    return map_arrow(docs.select("text"), run, "hi long, lo long, tokens binary")
 
 
 def _rare_first(sets: DataFrame, buckets: int) -> DataFrame:
     """(sid, tokens): the same sets under the global order of the join, rare shingles first.
 
-    A shingle's place is its number of sets (up to 65535), then its hash; both go into one 64-bit
-    key, so the order of keys is the order of the join. The numbers of sets are counted over all
-    sets, dealt out by hash.
+    A shingle's place is its number of sets (up to 65535), then its hash, whole. The numbers of
+    sets are counted over all sets, dealt out by hash; shingles whose hashes share 32 bits within
+    a bucket are counted together, which moves them in the order and changes nothing else.
     """
     shift = np.uint64(64 - int(buckets).bit_length() + 1)
 
@@ -373,10 +383,11 @@ def _rare_first(sets: DataFrame, buckets: int) -> DataFrame:
         if not len(data):
             return pa.table({"sid": sids, "tokens": pa.array([b""] * len(sids), pa.binary())})
         token, at = np.unique(data, return_inverse=True)
-        place = np.concatenate([replies[k] for k in sorted(replies)]).astype(np.uint64)
-        keys = ((place << np.uint64(48)) | (token >> np.uint64(16)))[at]
-        stops = np.cumsum(lengths)
-        return pa.table({"sid": sids, "tokens": pa.array([np.sort(keys[b - n : b]).tobytes() for b, n in zip(stops.tolist(), lengths.tolist(), strict=True)], pa.binary())})
+        place = np.concatenate([replies[k] for k in sorted(replies)])
+        ranked = data[np.lexsort((data, place[at], np.repeat(np.arange(len(sids)), lengths)))]
+        cuts = np.cumsum(lengths)
+        rows = [ranked[b - n : b].tobytes() for b, n in zip(cuts.tolist(), lengths.tolist(), strict=True)]
+        return pa.table({"sid": sids, "tokens": pa.array(rows, pa.binary())})
 
     dealt = map_arrow(sets, deal, _PART).groupBy("bucket").applyInArrow(count, _PART)
     return dealt.groupBy("block").applyInArrow(order, "sid long, tokens binary")
@@ -421,58 +432,77 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
 
 
-def block_rows(members: DataFrame, candidate: DataFrame, payload: str, block_sets: int = BLOCK_SETS, broadcast_rows: int = 1_000_000) -> DataFrame:
+def block_rows(
+    members: DataFrame,
+    candidate: DataFrame,
+    payload: str,
+    block_sets: int = BLOCK_SETS,
+    block_bytes: int = BLOCK_BYTES,
+    broadcast_rows: int = 1_000_000,
+) -> tuple[DataFrame, list[DataFrame]]:
     """(block, whole, sid, side, payload) of each member of a candidate component, sorted by block.
 
-    A component of up to ``block_sets`` members is one block. A larger one is dealt into chunks,
-    and each pair of chunks is a block, so that every pair of members meets in one.
+    A component of up to ``block_sets`` members and ``block_bytes`` of payload is one block. A
+    larger one is dealt into chunks of about that, and each pair of chunks is a block, so that
+    every pair of members meets in one. With it, the tables that it reads and nothing else does.
     """
     named = candidate.select("node", "root").union(candidate.select(F.col("root").alias("node"), "root")).distinct()
-    sizes = materialise(named.groupBy("root").agg(F.count("*").alias("k")).where(F.col("k") > block_sets).select(F.col("root").alias("big"), F.ceil(F.col("k") / F.lit(block_sets)).cast("int").alias("chunks")), "big-blocks")
+    named = materialise(named, "block-named")
+    weighed = members.select(F.col("sid").alias("of"), F.octet_length(payload).alias("bytes"))
+    sizes = weighed.join(named, F.col("of") == F.col("node")).groupBy("root").agg(F.count("*").alias("k"), F.sum("bytes").alias("bytes"))
+    chunks = F.ceil(F.greatest(F.col("k") / F.lit(block_sets), F.col("bytes") / F.lit(block_bytes))).cast("int")
+    sizes = materialise(sizes.select(F.col("root").alias("big"), chunks.alias("chunks")).where("chunks > 1"), "block-sizes")
     side = F.broadcast(sizes) if sizes.count() <= broadcast_rows else sizes
     joined = members.join(named, members["sid"] == named["node"]).join(side, F.col("root") == F.col("big"), "left")
-    chunk = F.pmod(F.xxhash64("sid"), F.coalesce("chunks", F.lit(1))).cast("int")
-    dealt = joined.withColumn("chunk", chunk).withColumn("other", F.explode(F.sequence(F.lit(0), F.coalesce("chunks", F.lit(1)) - 1)))
+    count = F.coalesce("chunks", F.lit(1))
+    dealt = joined.withColumn("chunk", F.pmod(F.xxhash64("sid"), count).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
     block = F.xxhash64("root", F.least("chunk", "other"), F.greatest("chunk", "other"))
     rows = dealt.select(block.alias("block"), F.col("big").isNull().alias("whole"), "sid", F.col("chunk").alias("side"), payload)
-    return rows.repartition("block").sortWithinPartitions("block", "sid")
+    # a block's cost is in its pairs, not its bytes: tasks are not put together by bytes
+    parts = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return rows.repartition(parts, "block").sortWithinPartitions("block", "sid"), [named, sizes]
 
 
-def joined_blocks(rows: DataFrame, solve: Callable) -> DataFrame:
-    """(node, root) from block rows. ``solve`` maps (sides or None, payloads) to the smallest
-    member of each one's component. A whole component's answer stands; chunked ones are put
-    together by their links."""
+Block = tuple[np.ndarray | None, list[bytes]]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: tuple[list, list, list] = ([], [], [])
-        key = (None, True)
 
-        def close(found: list) -> None:
-            ids, sides, payloads = held
-            if len(ids) > 1:
-                side, names = np.array(sides), np.array(ids, dtype=np.int64)
-                root = names[solve(None if (side == side[0]).all() else side, payloads)]
-                moved = root != names
-                found.append((names[moved], root[moved], np.full(int(moved.sum()), key[1])))
+def joined_blocks(members: DataFrame, candidate: DataFrame, payload: str, solve: Callable[[list[Block]], list[np.ndarray]]) -> DataFrame:
+    """(node, root) of the members that are alike. ``solve`` maps blocks, each (sides or None,
+    payloads), to the smallest member of each one's component. A whole component's answer stands;
+    chunked ones are put together by their links."""
 
-        def out(found: list) -> Iterator[pa.RecordBatch]:
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*found, strict=True)], names=["u", "v", "whole"])
+    def answers(blocks: list[tuple[list, list, list, bool]]) -> Iterator[pa.RecordBatch]:
+        names = [np.array(ids, dtype=np.int64) for ids, _, _, _ in blocks]
+        sides = [np.array(x) for _, x, _, _ in blocks]
+        labels = solve([(None if (x == x[0]).all() else x, b[2]) for x, b in zip(sides, blocks, strict=True)])
+        root = [n[label] for n, label in zip(names, labels, strict=True)]
+        whole = np.repeat([b[3] for b in blocks], [len(n) for n in names])
+        u, v = np.concatenate(names), np.concatenate(root)
+        moved = u != v
+        columns = [pa.array(x[moved]) for x in (u, v, whole)]
+        yield pa.RecordBatch.from_arrays(columns, names=["u", "v", "whole"])
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[list, list, list, bool]] = []
+        key, size = None, 0
         for batch in batches:
-            found: list = []
             for block, whole, sid, side, payload in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if block != key[0]:
-                    close(found)
-                    key, held = (block, whole), ([], [], [])
-                for column, x in zip(held, (sid, side, payload), strict=True):
+                if block != key:
+                    if size > SOLVE_BYTES:
+                        yield from answers(held)
+                        held, size = [], 0
+                    held.append(([], [], [], whole))
+                    key = block
+                for column, x in zip(held[-1], (sid, side, payload)):
                     column.append(x)
-            yield from out(found)
-        found = []
-        close(found)
-        yield from out(found)
+                size += len(payload) + 64
+        if held:
+            yield from answers(held)
 
+    rows, spent = block_rows(members, candidate, payload)
     links = materialise(map_arrow(rows, run, "u long, v long, whole boolean"), "block-links")
+    discard(*spent)
     done = links.where("whole").select(F.col("u").alias("node"), F.col("v").alias("root"))
     rest = links.where("not whole").select("u", "v")
     return done if rest.isEmpty() else done.unionByName(connected(rest))
@@ -484,36 +514,42 @@ def link_documents(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
     Rows link when 100 * overlap >= ``percent`` * union of their distinct ``words``-word shingles;
     ``component_id`` is the smallest doc_id reachable by links, itself included. Null, empty and
     blank texts have no shingles and link with nothing; rows with equal sets link with each other;
-    a null doc_id stays null and links nothing, and repeated rows are returned as often as they
-    come; an empty table gives an empty result; other columns are ignored.
+    rows of one doc_id with different texts are documents of their own; a null doc_id stays null
+    and links nothing, and repeated rows are returned as often as they come; an empty table gives
+    an empty result; other columns are ignored. Shingles are equal when their 64-bit hashes are,
+    sets when their 128-bit signatures are.
     """
     spark = docs.sparkSession
     ship_package(spark)
     slim = first_columns(docs, "doc_id", "text")
-    buckets = 256
-    while buckets * 8192 < slim.count() and buckets < 1 << 20:
-        buckets *= 2
+    buckets = bucket_count(slim)
     table = materialise(_shared_counts(slim, buckets, words), "set-counts")
     able = table.where((100 * F.col("n_shared") >= percent * F.col("n_shingles")) & (F.col("n_shingles") > 0) & F.col("doc_id").isNotNull())
-    reps = materialise(able.groupBy("sig_hi", "sig_lo").agg(F.min("doc_id").alias("sid")), "set-leaders")
-    # one text for each distinct set goes on
-    wanted = reps.select("sid").distinct()
-    side = F.broadcast(wanted) if reps.count() <= broadcast_rows else wanted
-    chosen = slim.join(side, slim["doc_id"] == side["sid"], "left_semi")
-    sets = materialise(_sets_of(chosen, words).select(F.col("doc_id").alias("sid"), "tokens").dropDuplicates(["sid"]), "sets")
-    unranked, sets = sets, materialise(_rare_first(sets, buckets), "ranked-sets")
-    discard(unranked)
-    rows = materialise(map_arrow(sets, _prefix_rows(percent), "kind int, a long, b long"), "prefixes")
+    # a number for each distinct set, whoever holds it, and the smallest of its documents
+    leaders = able.groupBy("sig_hi", "sig_lo").agg(F.min("doc_id").alias("lead"))
+    reps = materialise(leaders.withColumn("number", F.monotonically_increasing_id()), "set-leaders")
+    near = F.broadcast if reps.count() <= broadcast_rows else lambda x: x
+    wanted = reps.select("lead").distinct()
+    chosen = _sets_of(slim.join(near(wanted), slim["doc_id"] == F.col("lead"), "left_semi"), words)
+    same = (F.col("hi") == F.col("sig_hi")) & (F.col("lo") == F.col("sig_lo"))
+    found = chosen.join(near(reps.select("sig_hi", "sig_lo", "number")), same)
+    sets = materialise(found.select(F.col("number").alias("sid"), "tokens").dropDuplicates(["sid"]), "sets")
+    ranked = materialise(_rare_first(sets, buckets), "ranked-sets")
+    rows = materialise(map_arrow(ranked, _prefix_rows(percent), "kind int, a long, b long"), "prefixes")
     postings = rows.where("kind = 0").select("a", "b").repartition("a").sortWithinPartitions("a", "b")
-    edges = map_arrow(postings, _runs, "u long, v long").union(rows.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v")))
-    candidate = connected(edges)
-    discard(rows)
-
-    def solve(sides: np.ndarray | None, payloads: list[bytes]) -> np.ndarray:
-        return similar_groups([np.frombuffer(x, np.uint64) for x in payloads], percent, sides)
-
-    links = joined_blocks(block_rows(sets, candidate, "tokens"), solve)
-    named = reps.join(links, reps["sid"] == links["node"], "left").select("sig_hi", "sig_lo", F.coalesce("root", "sid").alias("root"))
-    named = materialise(named, "set-roots").toDF("hi", "lo", "root")
-    same = (F.col("sig_hi") == F.col("hi")) & (F.col("sig_lo") == F.col("lo")) & (F.col("n_shingles") > 0)
-    return table.join(named, same, "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce(F.least("root", "doc_id"), F.col("doc_id"))).alias("component_id"))
+    edges = map_arrow(postings, _runs, "u long, v long")
+    candidate = connected(edges.union(rows.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v"))))
+
+    def solve(blocks: list[Block]) -> list[np.ndarray]:
+        return [similar_groups([np.frombuffer(x, np.uint64) for x in payloads], percent, sides) for sides, payloads in blocks]
+
+    links = joined_blocks(ranked, candidate, "tokens", solve)
+    grouped = reps.join(links, F.col("number") == F.col("node"), "left").withColumn("root", F.coalesce("root", "number"))
+    grouped = materialise(grouped.select("sig_hi", "sig_lo", "lead", "root"), "set-roots")
+    first = grouped.groupBy("root").agg(F.min("lead").alias("least"))
+    named = grouped.join(first, "root").select(F.col("sig_hi").alias("hi"), F.col("sig_lo").alias("lo"), "least")
+    named = materialise(named, "set-components")
+    discard(sets, rows, ranked, candidate, reps, links, grouped)
+    joined = table.join(named, same & (F.col("n_shingles") > 0), "left")
+    least = F.coalesce(F.least("least", "doc_id"), F.col("doc_id"))
+    return joined.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), least).alias("component_id"))

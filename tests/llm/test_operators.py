@@ -154,10 +154,19 @@ def test_trie_join_near_copies_in_chunks(spark, monkeypatch):
             words[int(rng.integers(0, len(words)))] = f"x{int(rng.integers(0, 50))}"
         texts.append((i, " ".join(words)))
     texts += [(200, texts[3][1]), (201, texts[3][1].upper()), (202, "T1 t2"), (203, "t1 t2"), (204, "t1  t2 t3")]
-    monkeypatch.setattr(trie_join.block_rows, "__defaults__", (16, 0))
     docs = spark.createDataFrame(texts, "doc_id long, text string").repartition(5)
-    got = {r.doc_id: (r.n_shingles, r.component_id) for r in trie_join.link_documents(docs, broadcast_rows=0).collect()}
-    assert got == brute_components(texts)
+    for bounds in ((16, 1 << 20, 0), (1024, 4000, 0)):  # by members, by bytes
+        monkeypatch.setattr(trie_join.block_rows, "__defaults__", bounds)
+        found = trie_join.link_documents(docs, broadcast_rows=0)
+        got = {r.doc_id: (r.n_shingles, r.component_id) for r in found.collect()}
+        assert got == brute_components(texts)
+
+
+def test_trie_join_one_id_with_two_texts(spark):
+    a, b = (" ".join(f"{c}{k}" for k in range(30)) for c in "ab")
+    docs = spark.createDataFrame([(5, a), (5, b), (6, b), (7, a), (8, b + " more"), (9, "else")], "doc_id long, text string")
+    got = Counter(map(tuple, trie_join.link_documents(docs).collect()))
+    assert got == Counter([(5, 26, 5), (5, 26, 5), (6, 26, 5), (7, 26, 5), (8, 27, 5), (9, 1, 9)])
 
 
 def test_similar_groups_against_all_pairs():
@@ -273,12 +282,24 @@ def test_bpe_equals_the_library():
     rng = np.random.default_rng(4)
     parts = ["'s", "'t", "'re", "'ve", "'ll", "'d", "'m", "'", "''s", "s", "re", " ", "  ", "\n", "\t", "a", "é", "1", "²", "!", "?", " ", "　", "😀", "日本", "\x1c", "\x85", "'S", "́", "\r\n", "﻿", "word", " 12"]
     texts = ["".join(rng.choice(parts, int(rng.integers(0, 50)))) for _ in range(1500)] + ["", " ", "a" * 3000, "é" * 500, "!?" * 700, " \n" * 300]
-    got = coder.encode(texts)
-    for t, ids in zip(texts, got, strict=True):
-        assert ids == library.encode_ordinary(t)
-        assert coder.decode(ids) == t.encode()
-        offsets = coder.offsets(ids)
-        assert all(coder.decode(ids[k:]) == t.encode()[at:] for k, at in list(enumerate(offsets))[:5])
+    ids, cuts = coder.encode(texts)
+    offsets = coder.offsets(ids, cuts)
+    assert coder.decode(ids, cuts, offsets) == [t.encode() for t in texts]
+    for t, a, b in zip(texts, cuts, cuts[1:]):
+        assert ids[a:b].tolist() == library.encode_ordinary(t)
+        for k in range(a, min(b, a + 5)):
+            rest = coder.decode(ids[k:b], np.array([0, b - k]), offsets[k:b] - offsets[k])
+            assert rest == [t.encode()[offsets[k] :]]
+
+
+def test_cache_that_starts_anew_changes_nothing(monkeypatch):
+    texts = [f"word{k} {k * 7919} zq{k}x" for k in range(300)]
+    coder = byte_bpe.Codec(RANKS)
+    want = [x.tolist() for x in coder.encode(texts)]
+    monkeypatch.setattr(byte_bpe, "CACHE_LIMIT", 5)
+    small = byte_bpe.Codec(RANKS)
+    small.encode(texts[:150])
+    assert [x.tolist() for x in small.encode(texts)] == want
 
 
 def test_bpe_on_documents(odd_docs, no_docs):
@@ -362,18 +383,49 @@ def test_line_dedup_recall_against_brute_force(spark):
     assert sum(same(a, b) for a, b in want) >= 0.98 * len(want)
 
 
-def test_few_lines_like_many():
+def plain_alike(a, b, chars=8, percent=80):
+    """Jaccard similarity of character shingle sets, by Python sets."""
+    x, y = ({t[i : i + chars] for i in range(max(1, len(t) - chars + 1))} for t in (a, b))
+    return 100 * len(x & y) >= percent * len(x | y)
+
+
+def test_groups_of_a_block_against_all_pairs():
     rng = np.random.default_rng(6)
-    for _ in range(40):
-        base = "".join(rng.choice(list("abcdef ghij"), 120))
-        lines = []
-        for _ in range(int(rng.integers(2, 8))):
-            x = list(base)
+    blocks = []
+    for size in [2] * 20 + [3, 5, 9, 30, 52, 53, 90]:
+        base, lines = "".join(rng.choice(list("abcdef ghij"), 260)), []
+        for _ in range(size):
+            x = list(base[: int(rng.integers(60, 260))])
             for _ in range(int(rng.integers(0, 5))):
-                x[int(rng.integers(0, 120))] = "z"
+                x[int(rng.integers(0, len(x)))] = "z"
             lines.append("".join(x).encode())
-        few, many = line_dedup.few_groups(lines), trie_join.similar_groups([line_dedup.char_shingles(x) for x in lines], 80)
-        assert all((few[i] == few[j]) == (many[i] == many[j]) for i, j in itertools.combinations(range(len(lines)), 2))
+        blocks.append((None, lines))
+    blocks.append((None, [b"abc", b"abc ", b"abc"]))
+    for (_, lines), got in zip(blocks, line_dedup.alike_groups(blocks), strict=True):
+        t = [x.decode() for x in lines]
+        alike = lambda a, b: plain_alike(a, b) or (max(len(a), len(b)) < 200 and plain_alike(a, b, 3, 70))
+        pairs = [(i, j) for i, j in itertools.combinations(range(len(t)), 2) if alike(t[i], t[j])]
+        want = components.roots(len(t), *(np.array([p[k] for p in pairs], dtype=int) for k in (0, 1)))
+        assert (got == want).all()
+
+
+def test_removed_lines_are_alike_to_a_kept_or_removed_one(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    text = {r.doc_id: r.text.split("\n") for r in docs.collect()}
+    groups = {}
+    for r in line_dedup.duplicate_lines(docs, exact_short=True).collect():
+        group = groups.setdefault((r.keep_doc_id, r.keep_pos), {text[r.keep_doc_id][r.keep_pos]})
+        group.add(text[r.doc_id][r.pos])
+    assert len(groups) > 20
+    for lines in groups.values():
+        alike = lambda a, b: plain_alike(a, b) or (max(len(a), len(b)) < 200 and plain_alike(a, b, 3, 70))
+        left, reached = set(lines), [lines.pop()]
+        left.discard(reached[0])
+        for a in reached:
+            near = {b for b in left if alike(a, b)}
+            left -= near
+            reached += near
+        assert not left
 
 
 def test_line_dedup_finds_small_edits_of_short_lines(spark):
@@ -422,10 +474,15 @@ def test_shards_are_even_and_gapless(spark, odd_docs, no_docs):
     assert sharding.shard_documents(no_docs).count() == 0
 
 
-def test_splitters_resolve_ties():
-    s = sharding.Splitters([(5, 1), (5, 9), (7, 0)])
-    got = s.locate(np.array([4, 5, 5, 5, 6, 7, 8]), np.array([0, 0, 1, 10, 0, -1, 0]))
-    assert got.tolist() == [0, 0, 1, 2, 2, 2, 3]
+def test_splitters_resolve_ties(spark):
+    s = sharding.Splitters(np.array([5, 5, 7]), np.array([1, 9, 0]))
+    hashes, ids, want = [4, 5, 5, 5, 6, 7, 8], [0, 0, 1, 10, 0, -1, 0], [0, 0, 1, 2, 2, 2, 3]
+    assert s.locate(np.array(hashes), np.array(ids)).tolist() == want
+    rows = spark.createDataFrame(list(zip(hashes, ids)), "order_hash long, order_id long")
+    got = {(r.order_hash, r.order_id): r.range for r in sharding.with_range(rows, s).collect()}
+    assert [got[k] for k in zip(hashes, ids)] == want
+    none = sharding.Splitters(np.zeros(0), np.zeros(0))
+    assert {r.range for r in sharding.with_range(rows, none).collect()} == {0}
 
 
 # ---------------------------------------------------------------- registration
