@@ -10,15 +10,19 @@ one image's 8191 block rows continues in further images, one after another.
 from __future__ import annotations
 
 import hashlib
+import re
 import struct
 import zlib
 from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from .common import first_columns, map_arrow, slices, text_bytes
+from .common import discard, first_columns, map_arrow, materialise, slices, text_bytes
 
 ACROSS = 64
 MAX_ROWS = 65_528 // 8
@@ -115,47 +119,92 @@ def encode_payloads(payloads: list[bytes]) -> list[bytes]:
     return out
 
 
+@dataclass
+class Part:
+    """A component: blocks of a coding unit across and down, its quantiser's table."""
+
+    across: int
+    down: int
+    quant: int
+
+
+@dataclass
+class Scan:
+    """Components of a scan with their (DC, AC) tables as they were then, and its coded bytes."""
+
+    parts: list[tuple[int, tuple, tuple]]
+    interval: int
+    data: bytes
+
+
 class Image:
-    """What the markers of one baseline image say, and its entropy-coded intervals."""
+    """What the markers of one baseline image say, and its scans."""
 
-    def __init__(self, data: bytes, at: int):
+    def __init__(self, data: bytes, at: int = 0):
         if data[at : at + 2] != b"\xff\xd8":
             raise ValueError("no start of image")
-        at += 2
         self.tables: dict[int, tuple[list[int], list[int]]] = {}
-        self.quant: dict[int, int] = {}
+        self.quant: dict[int, int] = {}  # what a table does to the DC level
+        self.parts: dict[int, Part] = {}
+        self.scans: list[Scan] = []
         self.interval = 0
+        at += 2
         while True:
-            if data[at] != 0xFF:
+            if data[at : at + 1] != b"\xff":
                 raise ValueError("marker expected")
-            marker, (length,) = data[at + 1], struct.unpack_from(">H", data, at + 2)
-            body, at = data[at + 4 : at + 2 + length], at + 2 + length
-            if marker == DQT:
-                self.quant[body[0] & 15] = body[1]
-            elif marker == SOF0:
-                depth, self.height, self.width, parts = struct.unpack_from(">BHHB", body)
-                if depth != 8 or parts != 1:
-                    raise ValueError("one component of 8 bits expected")
-                self.quant_id = body[8]
-            elif marker == DHT:
-                while body:
-                    counts = list(body[1:17])
-                    self.tables[body[0]] = counts, list(body[17 : 17 + sum(counts)])
-                    body = body[17 + sum(counts) :]
-            elif marker == DRI:
-                (self.interval,) = struct.unpack(">H", body)
-            elif marker == SOS:
+            while data[at + 1] == 0xFF:  # fill bytes
+                at += 1
+            marker = data[at + 1]
+            if marker == EOI:
                 break
+            (length,) = struct.unpack_from(">H", data, at + 2)
+            body, at = data[at + 4 : at + 2 + length], at + 2 + length
+            if marker == SOS:
+                at = self._scan(body, data, at)
+            else:
+                self._segment(marker, body)
+        if not self.parts or not self.scans:
+            raise ValueError("no frame or no scan")
+        self.end = at + 2
+
+    def _segment(self, marker: int, body: bytes) -> None:
+        if marker == DQT:
+            while body:
+                wide = body[0] >> 4
+                self.quant[body[0] & 15] = struct.unpack_from(">H" if wide else ">B", body, 1)[0]
+                body = body[1 + 64 * (1 + wide) :]
+        elif marker == SOF0:
+            depth, self.height, self.width, count = struct.unpack_from(">BHHB", body)
+            if depth != 8 or not self.height or not self.width:
+                raise ValueError("8-bit samples and known dimensions expected")
+            for name, shape, quant in struct.iter_unpack("BBB", body[6 : 6 + 3 * count]):
+                self.parts[name] = Part(shape >> 4, shape & 15, quant)
+        elif marker == DHT:
+            while body:
+                counts = list(body[1:17])
+                self.tables[body[0]] = counts, list(body[17 : 17 + sum(counts)])
+                body = body[17 + sum(counts) :]
+        elif marker == DRI:
+            (self.interval,) = struct.unpack(">H", body)
+        elif 0xC0 <= marker <= 0xCF and marker != 0xC8:
+            raise ValueError("only baseline frames are read")
+
+    def _scan(self, body: bytes, data: bytes, at: int) -> int:
+        chosen = struct.iter_unpack("BB", body[1 : 1 + 2 * body[0]])
+        parts = [(name, self.tables[pair >> 4], self.tables[16 | (pair & 15)]) for name, pair in chosen]
         end = at
         while True:  # a 0xFF inside the scan is stuffed or a restart
             end = data.index(b"\xff", end)
-            if data[end + 1] == 0 or RST0 <= data[end + 1] < RST0 + 8:
-                end += 2
-                continue
-            break
-        if data[end + 1] != EOI:
-            raise ValueError("end of image expected")
-        self.scan, self.end = data[at:end], end + 2
+            if data[end + 1] != 0 and not RST0 <= data[end + 1] < RST0 + 8:
+                break
+            end += 2
+        self.scans.append(Scan(parts, self.interval, data[at:end]))
+        return end
+
+    def is_payload(self) -> bool:
+        """Whether the image has the shape that ``encode_payloads`` writes."""
+        one = len(self.parts) == 1 and len(self.scans) == 1
+        return one and self.interval == ACROSS and self.width == ACROSS * 8 and self.height % 8 == 0 and list(self.scans[0].parts[0][2][1]) == AC_SYMBOLS
 
 
 def images(data: bytes) -> Iterator[Image]:
@@ -166,6 +215,63 @@ def images(data: bytes) -> Iterator[Image]:
         at = image.end
 
 
+def _read_levels(image: Image, scan: Scan) -> dict[int, np.ndarray]:
+    """DC levels of each component in the scan, block by block; AC coefficients are passed over."""
+    most = max(p.across for p in image.parts.values()), max(p.down for p in image.parts.values())
+    size = {}
+    for name, p in image.parts.items():
+        size[name] = tuple(-(-(-(-n * k // m)) // 8) for n, k, m in ((image.width, p.across, most[0]), (image.height, p.down, most[1])))
+    if len(scan.parts) == 1:  # blocks in raster order, without those that only fill a unit
+        units = size[scan.parts[0][0]]
+        shape = {scan.parts[0][0]: (1, 1)}
+    else:
+        units = -(-image.width // (8 * most[0])), -(-image.height // (8 * most[1]))
+        shape = {name: (image.parts[name].across, image.parts[name].down) for name, _, _ in scan.parts}
+    levels = {name: np.zeros((units[1] * v, units[0] * h), dtype=np.int64) for name, (h, v) in shape.items()}
+    codes = {name: (_windows(*dc).tolist(), _windows(*ac).tolist()) for name, dc, ac in scan.parts}
+    count = units[0] * units[1]
+    step = scan.interval or count
+    runs = re.split(rb"\xff+[\xd0-\xd7]", scan.data)
+    if len(runs) != -(-count // step):
+        raise ValueError("restart intervals are missing")
+    for number, run in enumerate(runs):
+        data = np.frombuffer(run.replace(b"\xff\x00", b"\xff") + bytes(8), dtype=np.uint8).astype(np.int64)
+        wide = sum(data[k : len(data) - 4 + k] << (32 - 8 * k) for k in range(5)).tolist()  # 40 bits from each byte
+        end, bit, before = 8 * (len(data) - 8), 0, dict.fromkeys(levels, 0)
+        for unit in range(number * step, min(count, (number + 1) * step)):
+            row, column = divmod(unit, units[0])
+            for name, _, _ in scan.parts:
+                dc, ac = codes[name]
+                for block in range(shape[name][0] * shape[name][1]):
+                    found = dc[(wide[bit >> 3] >> (24 - (bit & 7))) & 0xFFFF]
+                    bits, bit = found >> 5, bit + (found & 31)
+                    extra = (wide[bit >> 3] >> (40 - (bit & 7) - bits)) & ((1 << bits) - 1)
+                    bit += bits
+                    before[name] += extra - (1 << bits) + 1 if bits and extra < 1 << (bits - 1) else extra
+                    down, across = divmod(block, shape[name][0])
+                    levels[name][row * shape[name][1] + down, column * shape[name][0] + across] = before[name]
+                    k = 1
+                    while k < 64:
+                        code = ac[(wide[bit >> 3] >> (24 - (bit & 7))) & 0xFFFF]
+                        if not found or not code or bit > end:
+                            raise ValueError("damaged scan")
+                        bit += (code & 31) + ((code >> 5) & 15)
+                        if code >> 5 == 0:  # end of block
+                            break
+                        k += (code >> 9) + 1
+    return {name: x[: size[name][1], : size[name][0]] for name, x in levels.items()}
+
+
+def luminance_thumbnail(image: Image) -> np.ndarray:
+    """One sample for each 8x8 block of the first component: its mean, from the DC level alone."""
+    name, part = next(iter(image.parts.items()))
+    for scan in image.scans:
+        if any(name == held for held, _, _ in scan.parts):
+            levels = _read_levels(image, scan)[name]
+            return np.clip((levels * image.quant[part.quant] + 4) // 8 + 128, 0, 255).astype(np.uint8)
+    raise ValueError("no scan of the first component")
+
+
 def _windows(counts: list[int], symbols: list[int]) -> np.ndarray:
     """For each 16-bit window: symbol * 32 + code length."""
     out = np.zeros(1 << 16, dtype=np.uint16)
@@ -208,26 +314,27 @@ def _decode_rows(scans: list[bytes], rows: int, dc: tuple, ac: tuple) -> np.ndar
     return out
 
 
-def read_payloads(media: list[bytes]) -> list[tuple[bytes, list[tuple[int, int]]]]:
-    """(thumbnail bytes, (width, height) of each image) of each media value.
-
-    The thumbnail has one sample for each block: the dequantised DC level / 8 + 128.
-    """
+def read_thumbnails(media: list[bytes]) -> list[tuple[bytes, list[tuple[int, int]]]]:
+    """(thumbnail bytes, (width, height) of each image) of each media value, which may hold several
+    baseline images. Images as ``encode_payloads`` writes them are decoded in lockstep, others one
+    by one."""
     parsed = [list(images(m)) for m in media]
-    flat = [i for group in parsed for i in group]
-    if not flat:
-        return [(b"", []) for _ in media]
-    first = flat[0]
-    if any(i.tables != first.tables or i.interval != ACROSS or i.width != ACROSS * 8 or i.quant[i.quant_id] != 8 for i in flat):
-        raise ValueError("images written by encode_payloads are expected")
-    levels = _decode_rows([i.scan for i in flat], sum(i.height // 8 for i in flat), first.tables[0x00], first.tables[0x10])
-    samples = np.clip(levels * first.quant[first.quant_id] // 8 + 128, 0, 255).astype(np.uint8).tobytes()
-    out, at = [], 0
-    for group in parsed:
-        n = sum(i.height // 8 for i in group) * ACROSS
-        out.append((samples[at : at + n], [(i.width, i.height) for i in group]))
-        at += n
-    return out
+    alike: dict[str, list[Image]] = {}
+    thumbnails: dict[int, bytes] = {}
+    for image in (i for group in parsed for i in group):
+        if image.is_payload():
+            alike.setdefault(repr(image.scans[0].parts), []).append(image)
+        else:
+            thumbnails[id(image)] = luminance_thumbnail(image).tobytes()
+    for group in alike.values():
+        _, dc, ac = group[0].scans[0].parts[0]
+        rows = [i.height // 8 for i in group]
+        levels = _decode_rows([i.scans[0].data for i in group], sum(rows), dc, ac)
+        quant = np.repeat([i.quant[next(iter(i.parts.values())).quant] for i in group], rows)
+        samples = np.clip((levels * quant[:, None] + 4) // 8 + 128, 0, 255).astype(np.uint8)
+        for image, low, n in zip(group, np.cumsum(rows) - rows, rows):
+            thumbnails[id(image)] = samples[low : low + n].tobytes()
+    return [(b"".join(thumbnails[id(i)] for i in group), [(i.width, i.height) for i in group]) for group in parsed]
 
 
 def thumbnail_hash(thumbnail: bytes) -> str:
@@ -257,9 +364,29 @@ def media_column(docs: DataFrame) -> DataFrame:
     return map_arrow(first_columns(docs, "doc_id", "text"), run, "doc_id long, n_bytes long, media binary")
 
 
+def store_and_read(docs: DataFrame, rounds: int = 4) -> DataFrame:
+    """Stores each whole text as media in the shared folder, reads the stored bytes back and digests
+    both: (doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256,
+    feature). The feature holds the images' dimensions and the thumbnail's average hash. Null text
+    counts as empty: one block row of zeros; repeated rows are stored each; an empty table gives an
+    empty result; other columns are ignored.
+
+    Entropy-coded media hardly compress, so all of them take more room than their Parquet source.
+    The rows are dealt into ``rounds`` parts; a part's media go when their digests are written.
+    """
+    slim = first_columns(docs, "doc_id", "text")
+    dealt = F.pmod(F.xxhash64("doc_id", "text"), F.lit(rounds))
+    found = []
+    for k in range(rounds):
+        stored = materialise(media_column(slim.where(dealt == k)), "media")
+        found.append(materialise(read_media(stored), "media-digests"))
+        discard(stored)
+    return reduce(DataFrame.unionByName, found)
+
+
 def _digests(ids: pa.Array, sizes: list[int], media: list[bytes], schema: pa.Schema) -> pa.RecordBatch:
     rows = []
-    for stored, (payload, dims) in zip(media, read_payloads(media), strict=True):
+    for stored, (payload, dims) in zip(media, read_thumbnails(media), strict=True):
         shape = "+".join(f"{w}x{h}" for w, h in dims)
         rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), f"jpeg:{shape}:{thumbnail_hash(payload)}"))
     columns = list(zip(*rows, strict=True))
@@ -274,21 +401,6 @@ def _digest_schema() -> pa.Schema:
     return pa.schema([(n, kinds[k]) for n, k in (x.split() for x in DIGESTS.split(", "))])
 
 
-def media_digests(docs: DataFrame) -> DataFrame:
-    """Stores each whole text as media, reads the stored bytes back and digests both:
-    (doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256,
-    feature). The feature holds the images' dimensions and the thumbnail's average hash. Null
-    text counts as empty: one block row of zeros. Other columns are ignored."""
-    schema = _digest_schema()
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches, "text", 1 << 20):
-            raw = text_bytes(part.column("text"))
-            yield _digests(part.column("doc_id"), [len(t) for t in raw], encode_payloads([pad(t) for t in raw]), schema)
-
-    return map_arrow(first_columns(docs, "doc_id", "text"), run, DIGESTS)
-
-
 def read_media(stored: DataFrame) -> DataFrame:
     """The same digests from a stored (doc_id, n_bytes, media) table; null media is an error."""
     schema = _digest_schema()

@@ -3,6 +3,7 @@
 import hashlib
 import itertools
 import re
+import struct
 import zlib
 from collections import Counter
 
@@ -328,21 +329,101 @@ def test_media_round_trip(odd_docs, no_docs):
     rng = np.random.default_rng(0)
     payloads = [jpeg_media.pad(x) for x in (b"", b"a", b"\xff" * 200, bytes(rng.integers(0, 256, 70_000, dtype=np.uint8)), b"\x00" * 64, b"ab" * 300_000)]
     media = jpeg_media.encode_payloads(payloads)
-    back = jpeg_media.read_payloads(media)
+    back = jpeg_media.read_thumbnails(media)
     assert [b for b, _ in back] == payloads
     assert back[0][1] == [(512, 8)] and back[-1][1][0] == (512, 65_528)
     assert all(m[:2] == b"\xff\xd8" and m[-2:] == b"\xff\xd9" for m in media)
-    got = jpeg_media.media_digests(odd_docs).collect()
-    for r in got:
-        assert r.payload_bytes % 64 == 0 and r.payload_bytes >= max(r.n_bytes, 64)
-    by_text = {}
-    for r, d in zip(rows(jpeg_media.media_digests(odd_docs)), rows(odd_docs), strict=True):
+    # the decoder of any baseline image agrees with the lockstep one
+    assert jpeg_media.luminance_thumbnail(jpeg_media.Image(media[2])).tobytes() == payloads[2]
+    got = jpeg_media.store_and_read(odd_docs, rounds=2).collect()
+    want, features = Counter(), {}
+    for d in odd_docs.collect():
         payload = jpeg_media.pad((d.text or "").encode())
-        assert (r.payload_sha256, r.tail_crc32) == (hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))
-        assert by_text.setdefault(d.text or "", r.feature) == r.feature
-    stored = jpeg_media.read_media(jpeg_media.media_column(odd_docs)).collect()
-    assert Counter(map(tuple, stored)) == Counter(map(tuple, got))
-    assert jpeg_media.media_digests(no_docs).count() == 0
+        want[(d.doc_id, len((d.text or "").encode()), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))] += 1
+    assert Counter((r.doc_id, r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) for r in got) == want
+    for r in got:
+        assert features.setdefault(r.payload_sha256, r.feature) == r.feature
+    assert jpeg_media.store_and_read(no_docs, rounds=1).count() == 0
+
+
+def hand_built_jpeg(shape, planes, width, height, interval=0, apart=False):
+    """A baseline image from quantised coefficients. ``shape``: (across, down) of each component;
+    ``planes``: for each one an array (rows, columns, 64) in zigzag order. All codes of a table have
+    one length: 4 bits for the DC sizes, 8 for the 162 AC symbols."""
+    symbols = [0x00, 0xF0, *[r << 4 | s for r in range(16) for s in range(1, 11)]]
+    segment = lambda marker, body: bytes([0xFF, marker]) + (len(body) + 2).to_bytes(2, "big") + body
+    frame = b"\x08" + height.to_bytes(2, "big") + width.to_bytes(2, "big") + bytes([len(shape)])
+    frame += b"".join(bytes([k + 1, h << 4 | v, k > 0]) for k, (h, v) in enumerate(shape))
+    out = b"\xff\xd8" + segment(0xE0, b"JFIF\0 any") + segment(0xDB, bytes([0, 16] + [7] * 63) + bytes([0x11, 0, 9] + [0, 5] * 63)) + segment(0xC0, frame)
+    out += segment(0xC4, bytes([0x00, 0, 0, 0, 12, *[0] * 12, *range(12)]) + bytes([0x10, *[0] * 7, 162, *[0] * 8, *symbols]))
+    out += segment(0xDD, interval.to_bytes(2, "big"))
+    most = max(h for h, _ in shape), max(v for _, v in shape)
+
+    def number(x):
+        n = abs(x).bit_length()
+        return n, format(x if x > 0 else x + (1 << n) - 1, f"0{n}b") if n else ""
+
+    def coded(blocks):
+        bits, before = "", {}
+        for k, block in blocks:
+            n, extra = number(int(block[0]) - before.get(k, 0))
+            before[k] = int(block[0])
+            bits += format(n, "04b") + extra
+            run = 0
+            last = max([i for i in range(1, 64) if block[i]], default=0)
+            for x in block[1 : last + 1]:
+                if not x:
+                    run += 1
+                    continue
+                bits += format(symbols.index(0xF0), "08b") * (run // 16)
+                n, extra = number(int(x))
+                bits += format(symbols.index((run % 16) << 4 | n), "08b") + extra
+                run = 0
+            bits += format(0, "08b") if last < 63 else ""
+        bits += "1" * (-len(bits) % 8)
+        return bytes(int(bits[i : i + 8], 2) for i in range(0, len(bits), 8)).replace(b"\xff", b"\xff\0")
+
+    groups = [[k] for k in range(len(shape))] if apart else [list(range(len(shape)))]
+    for ks in groups:
+        out += segment(0xDA, bytes([len(ks), *[x for k in ks for x in (k + 1, 0)], 0, 63, 0]))
+        if len(ks) == 1:
+            h, v = shape[ks[0]]
+            cols, rows_ = (-(-(-(-n * a // m)) // 8) for n, a, m in ((width, h, most[0]), (height, v, most[1])))
+            units = [[(ks[0], planes[ks[0]][r, c])] for r in range(rows_) for c in range(cols)]
+        else:
+            across, down = -(-width // (8 * most[0])), -(-height // (8 * most[1]))
+            units = [[(k, planes[k][r * shape[k][1] + y, c * shape[k][0] + x]) for k in ks for y in range(shape[k][1]) for x in range(shape[k][0])] for r in range(down) for c in range(across)]
+        step = interval or len(units)
+        runs = [coded([b for u in units[i : i + step] for b in u]) for i in range(0, len(units), step)]
+        out += b"".join(run + (bytes([0xFF, 0xD0 + i % 8]) if i + 1 < len(runs) else b"") for i, run in enumerate(runs))
+    return out + b"\xff\xd9"
+
+
+@pytest.mark.parametrize("shape, apart", [([(1, 1)], False), ([(1, 1)] * 3, False), ([(2, 2), (1, 1), (1, 1)], False), ([(2, 1), (1, 1), (1, 1)], True)])
+def test_thumbnails_of_any_baseline_image(shape, apart):
+    rng = np.random.default_rng(len(shape))
+    width, height = 83, 45
+    for interval in (0, 1, 3):
+        most = max(h for h, _ in shape), max(v for _, v in shape)
+        across, down = -(-width // (8 * most[0])), -(-height // (8 * most[1]))
+        planes = []
+        for h, v in shape:
+            x = np.where(rng.random((down * v, across * h, 64)) < 0.2, rng.integers(-500, 500, (down * v, across * h, 64)), 0)
+            x[..., 0] = rng.integers(-60, 60, x.shape[:2])
+            planes.append(x)
+        data = hand_built_jpeg(shape, planes, width, height, interval, apart)
+        ((thumbnail, dims),) = jpeg_media.read_thumbnails([data])
+        want = np.clip(planes[0][:6, :11, 0] * 2 + 128, 0, 255).astype(np.uint8)  # quantiser 16
+        assert dims == [(width, height)] and thumbnail == want.tobytes()
+
+
+def test_damaged_images_are_refused():
+    (media,) = jpeg_media.encode_payloads([bytes(range(64)) * 2])
+    progressive = media.replace(b"\xff\xc0", b"\xff\xc2", 1)
+    for bad in (b"", media[:-1], media[2:], progressive, media.replace(b"\xff\xd0", b"", 1)):
+        if bad:
+            with pytest.raises((ValueError, IndexError, struct.error)):
+                jpeg_media.read_thumbnails([bad])
 
 
 # ---------------------------------------------------------------- op9
