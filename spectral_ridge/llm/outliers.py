@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import first_columns, map_arrow, materialise, ship_package, slices, text_bytes
+from .common import discard, first_columns, map_arrow, materialise, ship_package, slices, text_bytes
 
 #: Smallest spread that counts, per transformed rate: keeps zero-inflated rates from a scatter of 0.
 FLOORS = {"v_word": 0.03, "v_symbol": 0.03, "v_dup": 0.12, "v_repeat": 0.12, "v_upper": 0.03, "v_mark": 0.04}
@@ -34,13 +34,16 @@ _BINS = 24  # distance bins per e-fold
 @dataclass(frozen=True)
 class OutlierRules:
     """``coverage``: share of a group that the estimate rests on; ``tail``: chance that a document
-    from a normal group is rejected; ``min_group``: smaller groups are judged by the estimate of
+    from a normal group is rejected; ``first_steps``: steps from each start, ``steps``: the most from
+    the best one, until the scatter's log-determinant moves less than ``still``; ``min_group``: smaller groups are judged by the estimate of
     their whole language, and where that is small too, by that of all sound rows. Every sound row
     gets a verdict, however few there are."""
 
     coverage: float = 0.75
     tail: float = 1e-7
-    steps: int = 4
+    first_steps: int = 2
+    steps: int = 8
+    still: float = 0.01
     min_group: int = 100
     min_words: int = 20
     max_repeat_percent: int = 30
@@ -116,8 +119,8 @@ def _named_groups(stats: DataFrame, rules: OutlierRules) -> tuple[DataFrame, Dat
     """Rows with ``grp``, language and source or the wider pool that judges them where these have
     too few rows; and the sound rows of every group in use: a pool holds all rows of its language,
     or of the table, those of larger groups too."""
-    lang, source = F.coalesce("lang", F.lit("\u0000")), F.coalesce("source", F.lit("\u0000"))
-    pair, whole = F.concat_ws("\u001f", F.lit("s"), lang, source), F.concat_ws("\u001f", F.lit("l"), lang)
+    # as JSON, no language or source can be taken for two others, and null is no name
+    pair, whole = F.to_json(F.array("lang", "source")), F.to_json(F.array("lang"))
     named = stats.withColumns({"pair": pair, "whole": whole})
     sizes = named.where("not base_failed").groupBy("pair", "whole").agg(F.count("*").alias("n"))
     wholes = sizes.groupBy("whole").agg(F.sum("n").alias("m"))
@@ -134,12 +137,19 @@ def _named_groups(stats: DataFrame, rules: OutlierRules) -> tuple[DataFrame, Dat
     return judged.drop("pair", "whole", "small", "pool"), members
 
 
-MODEL = ", ".join(["grp string", "n long", *[f"m{i} double" for i in range(P)], *[f"p{i}_{j} double" for i, j in _PAIRS], "scale double"])
+MODEL = ", ".join(["grp string", "start int", "n long", *[f"m{i} double" for i in range(P)], *[f"p{i}_{j} double" for i, j in _PAIRS], "logdet double"])
+#: Starts of each group: medians and quartile spreads, the same with a first step on the nearest
+#: half, and plain mean and covariance.
+MEDIAN, CORE, WHOLE = range(3)
 
 
-def _model_row(group: str, n: int, mean: np.ndarray, cov: np.ndarray, scale: float = 1.0) -> pd.DataFrame:
+def _model_row(group: str, start: int, n: int, mean: np.ndarray, cov: np.ndarray) -> list:
     precision = np.linalg.inv(cov)
-    return pd.DataFrame([[group, n, *mean, *[precision[i, j] * (1 if i == j else 2) for i, j in _PAIRS], scale]], columns=[x.split()[0] for x in MODEL.split(", ")])
+    return [group, start, n, *mean, *[precision[i, j] * (1 if i == j else 2) for i, j in _PAIRS], float(np.linalg.slogdet(cov)[1])]
+
+
+def _models(rows: list[list]) -> pd.DataFrame:
+    return pd.DataFrame(rows, columns=[x.split()[0] for x in MODEL.split(", ")])
 
 
 def _start(frame: pd.DataFrame) -> pd.DataFrame:
@@ -150,23 +160,34 @@ def _start(frame: pd.DataFrame) -> pd.DataFrame:
         q = [at[np.searchsorted(cum, f * cum[-1])] * 0.005 for f in (0.25, 0.5, 0.75)]
         mean[k], spread[k] = q[1], (q[2] - q[0]) / 1.349
     floors = np.array(list(FLOORS.values()))
-    return _model_row(frame["grp"].iloc[0], int(frame["n"].sum()) // P, mean, np.diag(np.maximum(spread, floors) ** 2))
+    cov = np.diag(np.maximum(spread, floors) ** 2)
+    return _models([_model_row(frame["grp"].iloc[0], k, int(frame["n"].sum()) // P, mean, cov) for k in (MEDIAN, CORE)])
 
 
-def _concentrate(frame: pd.DataFrame, coverage: float) -> pd.DataFrame:
+def scatter(held: float, total: float, sums: np.ndarray, squares: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Centre and scatter of the ``held`` rows of ``total`` that lie nearest, from their sums and
+    sums of products; floors keep it regular."""
+    mean = sums / held
+    cov = squares / held - np.outer(mean, mean)
+    # consistency: the nearest share of a normal cloud has a smaller scatter than the cloud
+    edge = chi2_quantile(min(held / total, 1 - 1e-9), P)
+    factor = (held / total) / max(1e-9, _chi2_share(edge, P + 2))
+    return mean, cov * max(1.0, factor) + np.diag(np.array(list(FLOORS.values())) ** 2)
+
+
+def _concentrate(frame: pd.DataFrame, coverage: dict[int, float]) -> pd.DataFrame:
     """Centre and scatter of the nearest bins that hold ``coverage`` of the group."""
     frame = frame.sort_values("bin")
+    start = int(frame["start"].iloc[0])
     n = frame["n"].to_numpy(np.float64)
-    last = int(np.searchsorted(np.cumsum(n), math.ceil(coverage * n.sum()))) + 1
-    inner, held = frame.iloc[:last], n[:last].sum()
-    mean = inner[[f"s{i}" for i in range(P)]].sum().to_numpy(np.float64) / held
-    cov = np.zeros((P, P))
+    last = int(np.searchsorted(np.cumsum(n), math.ceil(coverage[start] * n.sum()))) + 1
+    inner = frame.iloc[:last]
+    squares = np.zeros((P, P))
     for i, j in _PAIRS:
-        cov[i, j] = cov[j, i] = inner[f"q{i}_{j}"].sum() / held - mean[i] * mean[j]
-    # consistency: the nearest share of a normal cloud has a smaller scatter than the cloud
-    edge = chi2_quantile(min(held / n.sum(), 1 - 1e-9), P)
-    factor = (held / n.sum()) / max(1e-9, _chi2_share(edge, P + 2))
-    return _model_row(frame["grp"].iloc[0], int(n.sum()), mean, cov * max(1.0, factor) + np.diag(np.array(list(FLOORS.values())) ** 2))
+        squares[i, j] = squares[j, i] = inner[f"q{i}_{j}"].sum()
+    sums = inner[[f"s{i}" for i in range(P)]].sum().to_numpy(np.float64)
+    mean, cov = scatter(n[:last].sum(), n.sum(), sums, squares)
+    return _models([_model_row(frame["grp"].iloc[0], start, int(n.sum()), mean, cov)])
 
 
 def _chi2_share(x: float, degrees: int) -> float:
@@ -192,21 +213,48 @@ def _with_model(rows: DataFrame, model: DataFrame, rules: OutlierRules) -> DataF
     return rows.withColumn("salt", F.pmod(F.xxhash64(*VECTOR), F.lit(salts))).join(spread, (F.col("grp") == F.col("of")) & (F.col("salt") == F.col("part")), "left").drop("salt", "part")
 
 
+def _moments() -> list[Column]:
+    products = [F.sum(F.col(VECTOR[i]) * F.col(VECTOR[j])).alias(f"q{i}_{j}") for i, j in _PAIRS]
+    return [F.count("*").alias("n"), *[F.sum(v).alias(f"s{i}") for i, v in enumerate(VECTOR)], *products]
+
+
+def _step(rows: DataFrame, model: DataFrame, coverage: dict[int, float], rules: OutlierRules) -> DataFrame:
+    """The models after one concentration step of every group and start."""
+    near = _with_model(rows, model, rules).withColumn("bin", F.floor(F.log(_distance() + 1e-3) * _BINS))
+    binned = near.groupBy("grp", "start", "bin").agg(*_moments())
+
+    def step(frame: pd.DataFrame) -> pd.DataFrame:
+        return _concentrate(frame, coverage)
+
+    return materialise(binned.groupBy("grp", "start").applyInPandas(step, MODEL), "outlier-step")
+
+
 def fit_groups(rows: DataFrame, rules: OutlierRules = OutlierRules()) -> DataFrame:
-    """One robust model per group of ``rows`` (``grp`` and the vector)."""
+    """One robust model per group of ``rows`` (``grp`` and the vector): a few concentration steps
+    from each start, then the start of least determinant goes on until it stands still."""
     ship_package(rows.sparkSession)
     long = rows.select("grp", F.posexplode(F.array(*[F.round(F.col(v) / 0.005).cast("int") for v in VECTOR])).alias("k", "bin"))
-    model = materialise(long.groupBy("grp", "k", "bin").agg(F.count("*").alias("n")).groupBy("grp").applyInPandas(_start, MODEL), "outlier-start")
-    coverage = rules.coverage
+    counted = long.groupBy("grp", "k", "bin").agg(F.count("*").alias("n"))
+    medians = counted.groupBy("grp").applyInPandas(_start, MODEL)
+    whole = rows.groupBy("grp", F.lit(WHOLE).alias("start"), F.lit(0).alias("bin")).agg(*_moments())
+    whole = whole.groupBy("grp", "start").applyInPandas(lambda frame: _concentrate(frame, {WHOLE: 1.0}), MODEL)
+    model = materialise(medians.unionByName(whole), "outlier-start")
+    share = dict.fromkeys((MEDIAN, CORE, WHOLE), rules.coverage)
+    for turn in range(rules.first_steps):
+        before, model = model, _step(rows, model, share | ({CORE: 0.5} if turn == 0 else {}), rules)
+        discard(before)
+    least = model.groupBy("grp").agg(F.min_by(F.struct(*model.columns[1:]), F.struct("logdet", "start")).alias("best"))
+    best = materialise(least.select("grp", "best.*"), "outlier-best")
+    discard(model)
     for _ in range(rules.steps):
-        near = _with_model(rows, model, rules).withColumn("bin", F.floor(F.log(_distance() + 1e-3) * _BINS))
-        sums = [F.count("*").alias("n"), *[F.sum(v).alias(f"s{i}") for i, v in enumerate(VECTOR)], *[F.sum(F.col(VECTOR[i]) * F.col(VECTOR[j])).alias(f"q{i}_{j}") for i, j in _PAIRS]]
-
-        def step(frame: pd.DataFrame) -> pd.DataFrame:
-            return _concentrate(frame, coverage)
-
-        model = materialise(near.groupBy("grp", "bin").agg(*sums).groupBy("grp").applyInPandas(step, MODEL), "outlier-step")
-    return model
+        after = _step(rows, best, share, rules)
+        old = best.select(F.col("grp").alias("of"), F.col("logdet").alias("old"))
+        moved = after.join(old, F.col("grp") == F.col("of")).agg(F.max(F.abs(F.col("logdet") - F.col("old")))).first()[0]
+        discard(best)
+        best = after
+        if moved is None or moved < rules.still:
+            break
+    return best
 
 
 def judge_documents(docs: DataFrame, rules: OutlierRules = OutlierRules()) -> DataFrame:
@@ -216,14 +264,15 @@ def judge_documents(docs: DataFrame, rules: OutlierRules = OutlierRules()) -> Da
     ``base_failed``: fewer than 20 words, or over 30 % of them in repeated 8-word windows. ``kept``
     is false for these and for rows beyond the cutoff of their group's robust distance; ``distance``
     is null for base failures. Null text has no words and fails; null languages and sources are
-    groups of their own; repeated rows are judged alike; an empty table gives an empty result;
+    groups of their own; groups of fewer than 100 sound rows are judged by those of their language,
+    or of the table; repeated rows are judged alike; an empty table gives an empty result;
     other columns are ignored.
     """
     stats = materialise(statistics_table(docs, rules), "outlier-stats")
     named, members = _named_groups(stats, rules)
     sound = materialise(members, "outlier-vectors")
     model = fit_groups(sound, rules)
-    judged = _with_model(named, model, rules).withColumn("distance", F.when(~F.col("base_failed"), _distance() / F.col("scale")))
+    judged = _with_model(named, model, rules).withColumn("distance", F.when(~F.col("base_failed"), _distance()))
     cutoff = chi2_quantile(1 - rules.tail, P)
     kept = ~F.col("base_failed") & F.coalesce(F.col("distance") <= cutoff, F.lit(True))
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept.alias("kept"), F.round("distance", 6).alias("distance"))
