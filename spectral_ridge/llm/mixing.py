@@ -10,6 +10,7 @@ source's token budget ends, inside a block if need be.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -43,10 +44,17 @@ def _hex_number(text: Column) -> Column:
     return F.conv(F.substring(F.md5(text.cast("binary")), 1, 15), 16, 10).cast("long")
 
 
+def _identity(docs: DataFrame) -> list[Column]:
+    """What tells rows apart beside id and source: bytes of the text, and its MD5 where the id is null."""
+    text = F.coalesce(docs["text"], F.lit(""))
+    unnamed = F.when(docs["doc_id"].isNull(), F.md5(text.cast("binary")))
+    return [F.octet_length(text).alias("text_bytes"), unnamed.alias("unnamed")]
+
+
 def token_table(docs: DataFrame) -> DataFrame:
-    """(doc_id, source, n_tokens): words of the whole text; null text has none."""
+    """(doc_id, source, n_tokens, text_bytes, unnamed): words of the whole text; null text has none."""
     words = F.regexp_count(F.coalesce(docs["text"], F.lit("")), F.lit(WORD)).cast("long")
-    return docs.select(docs["doc_id"], docs["source"], words.alias("n_tokens"))
+    return docs.select(docs["doc_id"], docs["source"], words.alias("n_tokens"), *_identity(docs))
 
 
 def bisect_exponent(totals: DataFrame, plan: MixPlan) -> float:
@@ -100,51 +108,98 @@ def mix_weights(tokens: DataFrame, plan: MixPlan = MixPlan()) -> DataFrame:
     )
 
 
-def mix_documents(docs: DataFrame, plan: MixPlan = MixPlan()) -> DataFrame:
-    """Rows of the mixture: (doc_id, source, n_tokens, epoch, block, block_rank, slot, position).
+def _block_places(sums: DataFrame, plan: MixPlan, bins: int = 4096) -> DataFrame:
+    """(block_of, block_epoch, block_id, block_rank, tokens_before): the order of a pass over each
+    source's blocks, by hash.
 
-    ``epoch`` counts passes from 0, ``block_rank`` is the block's place in that pass, ``slot`` the
-    document's place in its block, ``position`` in [0, 1] its place in the whole mixture: sorted
-    by it, every prefix holds the sources at their target weights. A partial pass stops at the
-    first document that begins at or past the source's budget. Null sources form one source of
-    their own; documents without words are emitted with the pass they fall in; repeated rows are
-    emitted each; an empty table gives an empty result; other columns are ignored.
+    ``sums``: (of, epoch, block, block_tokens). Blocks are ordered inside ranges of the hash, and the
+    ranges, at most ``bins`` of a pass, after each other: no source's blocks meet in one task.
     """
-    tokens = materialise(token_table(docs), "mix-tokens")
+    name = F.coalesce(F.col("of"), F.lit("-"))
+    salted = F.concat_ws(":", F.lit("order"), F.lit(plan.seed), name, F.col("epoch").cast("string"), F.col("block").cast("string"))
+    keyed = sums.withColumn("key", F.md5(salted.cast("binary")))
+    keyed = keyed.withColumn("bin", F.floor(F.conv(F.substring("key", 1, 4), 16, 10).cast("int") * F.lit(bins) / F.lit(65_536)))
+    ranges = keyed.groupBy("of", "epoch", "bin").agg(F.count("*").alias("k"), F.sum("block_tokens").alias("t"))
+    passed = Window.partitionBy("of", "epoch").orderBy("bin").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    ranges = ranges.select(
+        F.col("of").alias("range_of"),
+        F.col("epoch").alias("range_epoch"),
+        F.col("bin").alias("range_bin"),
+        (F.sum("k").over(passed) - F.col("k")).alias("blocks_before"),
+        (F.sum("t").over(passed) - F.col("t")).alias("range_before"),
+    )
+    here = Window.partitionBy("of", "epoch", "bin").orderBy("key", "block")
+    upto = here.rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    inside = keyed.withColumns({"rank": F.row_number().over(here) - 1, "ahead": F.sum("block_tokens").over(upto) - F.col("block_tokens")})
+    same = F.col("of").eqNullSafe(F.col("range_of")) & (F.col("epoch") == F.col("range_epoch")) & (F.col("bin") == F.col("range_bin"))
+    return inside.join(ranges, same).select(
+        F.col("of").alias("block_of"),
+        F.col("epoch").alias("block_epoch"),
+        F.col("block").alias("block_id"),
+        (F.col("blocks_before") + F.col("rank")).alias("block_rank"),
+        (F.col("range_before") + F.col("ahead")).alias("tokens_before"),
+    )
+
+
+def _emitted(docs: DataFrame, plan: MixPlan) -> DataFrame:
+    """Rows of the mixture with what tells them apart."""
+    counted = token_table(docs).withColumn("row", F.monotonically_increasing_id())
+    tokens = materialise(counted, "mix-tokens")
     weights = materialise(mix_weights(tokens, plan), "mix-weights")
     size_ok = weights.count() <= 100_000  # under about 10 MB; beyond it, a shuffled join
     named = weights.select(F.col("source").alias("of"), F.col("tokens").alias("source_tokens"), "epochs", "n_blocks")
     side = F.broadcast(named) if size_ok else named
-    ids = F.coalesce(F.col("doc_id").cast("string"), F.lit("-"))
-    dealt = tokens.join(side, F.col("source").eqNullSafe(F.col("of"))).withColumn("block", F.pmod(_hex_number(F.concat_ws(":", F.lit("block"), F.lit(plan.seed), ids)), F.col("n_blocks")))
-    passes = dealt.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.ceil(F.col("epochs")).cast("int") - 1))))
-    passes = passes.where("epochs > 0")
-
-    sums = dealt.groupBy("of", "source_tokens", "epochs", "block").agg(F.sum("n_tokens").alias("block_tokens"))
-    sums = sums.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.ceil(F.col("epochs")).cast("int") - 1))))
-    name = F.coalesce(F.col("of"), F.lit("-"))
-    shuffled = F.md5(F.concat_ws(":", F.lit("order"), F.lit(plan.seed), name, F.col("epoch").cast("string"), F.col("block").cast("string")).cast("binary"))
-    by_block = Window.partitionBy("of", "epoch").orderBy("key", "block")
-    blocks = sums.withColumn("key", shuffled).select(
-        F.col("of").alias("block_of"), F.col("epoch").alias("block_epoch"), F.col("block").alias("block_id"), (F.row_number().over(by_block) - 1).alias("block_rank"), (F.sum("block_tokens").over(by_block.rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("block_tokens")).alias("tokens_before"),
-    )
+    # rows without an id are dealt by their place in the written table, not all into one block
+    ids = F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("-"), F.col("row").cast("string")))
+    code = _hex_number(F.concat_ws(":", F.lit("block"), F.lit(plan.seed), ids))
+    dealt = tokens.join(side, F.col("source").eqNullSafe(F.col("of"))).withColumn("block", F.pmod(code, F.col("n_blocks")))
+    epoch = F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.ceil(F.col("epochs")).cast("int") - 1)))
+    passes = dealt.withColumn("epoch", epoch).where("epochs > 0")
+    sums = dealt.groupBy("of", "epochs", "block").agg(F.sum("n_tokens").alias("block_tokens")).withColumn("epoch", epoch)
+    blocks = _block_places(sums.drop("epochs"), plan)
     here = Window.partitionBy("source", "epoch", "block").orderBy("key", "doc_id", "n_tokens")
-    inside = passes.withColumn("key", F.md5(F.concat_ws(":", F.lit("row"), F.lit(plan.seed), ids, F.col("epoch").cast("string")).cast("binary"))).withColumns({"slot": F.row_number().over(here) - 1, "ahead": F.sum("n_tokens").over(here.rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("n_tokens")})
+    upto = here.rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    inside = passes.withColumn("key", F.md5(F.concat_ws(":", F.lit("row"), F.lit(plan.seed), ids, F.col("epoch").cast("string")).cast("binary")))
+    inside = inside.withColumns({"slot": F.row_number().over(here) - 1, "ahead": F.sum("n_tokens").over(upto) - F.col("n_tokens")})
     same = F.col("source").eqNullSafe(F.col("block_of")) & (F.col("epoch") == F.col("block_epoch")) & (F.col("block") == F.col("block_id"))
-    joined = inside.join(blocks, same).withColumn("start", F.col("tokens_before") + F.col("ahead"))
+    joined = inside.join(blocks, same).withColumn("begin", F.col("tokens_before") + F.col("ahead"))
     # a document at the end of a whole pass keeps its place even if it has no words
-    place = F.col("epoch") + F.when(F.col("source_tokens") > 0, F.col("start") / F.col("source_tokens")).otherwise(0.0)
-    return joined.where((F.col("epoch") + 1 <= F.col("epochs")) | (place < F.col("epochs"))).select(
-        "doc_id", "source", "n_tokens", "epoch", "block", F.col("block_rank").cast("long").alias("block_rank"), F.col("slot").cast("long").alias("slot"), F.round(F.least(F.lit(1.0), place / F.col("epochs")), 9).alias("position"),
-    )
+    place = F.col("epoch") + F.when(F.col("source_tokens") > 0, F.col("begin") / F.col("source_tokens")).otherwise(0.0)
+    position = F.round(F.least(F.lit(1.0), place / F.col("epochs")), 9)
+    return joined.where((F.col("epoch") + 1 <= F.col("epochs")) | (place < F.col("epochs"))).withColumn("position", position)
+
+
+def mix_documents(docs: DataFrame, plan: MixPlan = MixPlan()) -> DataFrame:
+    """Rows of the mixture: (doc_id, source, n_tokens, epoch, block, block_rank, slot, position).
+
+    ``epoch`` counts passes from 0, ``block_rank`` is the block's place in that pass, ``slot`` the
+    document's place in its block, ``position`` in [0, 1] its place in the whole mixture: sorted
+    by it, every prefix holds the sources at their target weights. A partial pass stops at the
+    first document that begins at or past the source's budget. Null sources form one source of
+    their own; documents without words are emitted with the pass they fall in; repeated rows are
+    emitted each, in one block; an empty table gives an empty result; other columns are ignored.
+    """
+    longs = [F.col(c).cast("long").alias(c) for c in ("block_rank", "slot")]
+    return _emitted(docs, plan).select("doc_id", "source", "n_tokens", "epoch", "block", *longs, "position")
 
 
 def mixed_documents(docs: DataFrame, plan: MixPlan = MixPlan()) -> DataFrame:
     """The documents themselves, each as often as the mixture emits it, with their own columns.
 
-    Only (doc_id, repeat count) is joined to the texts, by doc_id.
+    Only how often each pass emits it is joined to a text. Rows that share id, source and bytes of
+    text are copies: where a partial pass emits k of them, these are the first k.
     """
-    times = mix_documents(docs, plan).groupBy("doc_id").agg(F.countDistinct("epoch").cast("int").alias("mix_times"))
-    times = times.withColumnRenamed("doc_id", "mix_doc_id")
-    joined = docs.join(times, docs["doc_id"].eqNullSafe(times["mix_doc_id"]))
-    return joined.withColumn("mix_pass", F.explode(F.sequence(F.lit(1), F.col("mix_times")))).select(*[docs[c] for c in docs.columns])
+    keys = ["doc_id", "source", "text_bytes", "unnamed"]
+    per_pass = _emitted(docs, plan).groupBy(*keys, "epoch").agg(F.count("*").cast("int").alias("mix_k"))
+    often = per_pass.groupBy(*keys).agg(F.collect_list("mix_k").alias("mix_ks"), F.max("mix_k").alias("mix_copies"))
+    often = materialise(often.toDF(*[f"mix_{k}" for k in keys], "mix_ks", "mix_copies"), "mix-times")
+    size, unnamed = _identity(docs)
+    told = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("mix_row"), docs["doc_id"], docs["source"], size, unnamed)
+    same = reduce(lambda a, b: a & b, [F.col(k).eqNullSafe(F.col(f"mix_{k}")) for k in keys])
+    rows = told.join(often.where("mix_copies = 1"), same).withColumn("mix_copy", F.lit(1))
+    repeated = often.where("mix_copies > 1")
+    if not repeated.isEmpty():  # only these rows need a number among their copies
+        copy = F.row_number().over(Window.partitionBy(*keys).orderBy("mix_copies"))
+        rows = rows.unionByName(told.join(repeated, same).withColumn("mix_copy", copy))
+    passes = F.size(F.filter("mix_ks", lambda k: k >= F.col("mix_copy")))
+    return rows.withColumn("mix_pass", F.explode(F.sequence(F.lit(1), passes))).select("mix_row.*")

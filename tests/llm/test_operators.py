@@ -252,6 +252,28 @@ def test_mixing_meets_its_targets(spark, odd_docs, no_docs):
     assert mixing.mixed_documents(docs).columns == docs.columns
 
 
+def test_mixed_documents_are_the_emitted_rows(spark):
+    """Repeated ids, null ids, one id with several texts, and a source with most of the rows."""
+    table = [(i, f"w{i} " * (1 + i % 40), "big") for i in range(600)] + [(5, "w5 " * 6, "big")] * 4
+    table += [(900, "a b", "x"), (900, "a b", "x"), (900, "c d e", "x"), (901, None, "x"), (None, "n n n", None), (None, "n n n", None), (None, "other", "x")]
+    docs = spark.createDataFrame([(*r, 7) for r in table], "doc_id long, text string, source string, epoch int")
+    plan = mixing.MixPlan(repetition_limit=2.5, block_tokens=64)
+    size = lambda t: len(WORD.findall(t or ""))
+    emitted = Counter((r.doc_id, r.source, r.n_tokens) for r in mixing.mix_documents(docs, plan).collect())
+    got = mixing.mixed_documents(docs, plan)
+    assert got.columns == docs.columns
+    assert Counter((r.doc_id, r.source, size(r.text)) for r in got.collect()) == emitted
+    assert set(emitted) == {(i, s, size(t)) for i, t, s in table}
+
+
+def test_block_order_needs_no_window_over_a_source(spark):
+    sums = spark.createDataFrame([(s, e, b, (b * 7) % 50) for s in ("a", None) for e in (0, 1) for b in range(300)], "of string, epoch int, block long, block_tokens long")
+    plan = mixing.MixPlan()
+    wide, narrow = (sorted(map(tuple, mixing._block_places(sums, plan, bins).collect()), key=repr) for bins in (1, 64))
+    assert wide == narrow and len(wide) == 1200
+    assert sorted(r[3] for r in wide if r[:2] == ("a", 1)) == list(range(300))
+
+
 # ---------------------------------------------------------------- op5
 
 def test_severity_on_labels_it_never_saw(spark, odd_docs, no_docs):
