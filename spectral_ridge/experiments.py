@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Iterable
+from collections.abc import Iterable, Sequence
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -12,20 +12,25 @@ from pyspark.sql import functions as F
 from . import workloads as wl
 from .operators import features as ft
 from .operators.design import RidgeSpec
-from .operators.fit import collect_sketch, fit_sketch
-from .operators.predict import prediction_error
-from .operators.solve import certificate, coefficients, gram_of, solve, solve_components
+from .operators.fit import SketchPlan, collect_sketch, fit_many, fit_sketch
+from .operators.solve import certificate, coefficients, full_gram, gram_of, solve, solve_components
 from .plans import bounds, metrics
 from .plans.gamma import gamma_losses
 from .plans.risk import moments_risk, noise_moments, risk
 from .queries import EMB, query
 from .runtime import materialise
-from .sketch import make_sketcher
-from .sources.generators import planted, rows_block
+from .sketch import SketchRow
+from .sources.generators import generate_ridge_rows, planted
 
 COMPARED = ("fd_ridge", "robust_fd_ridge", "truncated_svd_ridge", "two_level_ridge", "sign_projection_ridge", "count_sketch_ridge", "exact_ridge")
 RANDOMISED = ("two_level_ridge", "sign_projection_ridge", "count_sketch_ridge", "srht_ridge")
-RESULT = "workload string, method string, n long, d int, ell int, gamma double, seed int, train_s double, query_s double, total_s double, amortised_s double, coef_err double, cov_err double, pred_mse_train double, pred_mse_test double, sketch_bytes long, n_svd int, certificate double"
+#: One row of a comparison: means over the repeats, and deviations of the error and training time.
+RESULT = ", ".join([
+    "workload string, method string, n long, d int, ell int, gamma double, repeats int",
+    "train_s double, query_s double, total_s double, amortised_s double, coef_err double, cov_err double",
+    "pred_mse_train double, pred_mse_test double, coef_err_sd double, train_sd double",
+    "sketch_bytes long, n_svd int, certificate double",
+])
 
 
 def ell_grid(d: int, low: int = 16) -> list[int]:
@@ -37,72 +42,114 @@ def ell_grid(d: int, low: int = 16) -> list[int]:
     return out
 
 
-def measure(name: str, a: np.ndarray, b: np.ndarray, test: tuple[np.ndarray, np.ndarray] | None, method: str, ell: int, gamma: float, seed: int = 0, exact: np.ndarray | None = None, gram: np.ndarray | None = None) -> tuple:
-    """One cell of the comparison, by the same kernels that the executors run."""
-    n, d = a.shape
-    gram = a.T @ a if gram is None else gram
-    exact = np.linalg.solve(gram + gamma * np.eye(d), a.T @ b) if exact is None else exact
-    began = time.perf_counter()
-    sketcher = make_sketcher(method, ell, d, 1, seed)
-    for at in range(0, n, 1024):
-        sketcher.update(a[at : at + 1024], b[at : at + 1024], np.arange(at, min(n, at + 1024)))
-    row = sketcher.finish()
-    train = time.perf_counter() - began
-    began = time.perf_counter()
-    x = coefficients(row, gamma)[:, 0]
-    asked = time.perf_counter() - began
-    mse = lambda m: float(np.mean((m[0] @ x - m[1]) ** 2)) if m is not None and len(m[0]) else None
-    return (name, method, n, d, ell, gamma, seed, train, asked, train + asked, metrics.amortised_seconds(train, asked, n, ell), metrics.coef_error(x, exact), metrics.cov_error(gram, row), mse((a, b)), mse(test), metrics.space_report(row)["bytes"], row.n_svd, certificate(row, gamma))
-
-
-def error_frontier(spark: SparkSession, sets: dict[str, tuple], methods: Iterable[str] = COMPARED, grid: Iterable[int] | None = None, repeats: int = 3) -> DataFrame:
-    """Errors and times of each method, sketch size and repeat. ``sets``: name -> (train rows,
-    train targets, test rows, test targets, penalty)."""
+def _loss(row: SketchRow, x: np.ndarray) -> float:
+    """Mean squared residual over the rows of an exact sketch, from its moments."""
+    total = x @ full_gram(row) @ x - 2 * x @ row.cross[:, 0] + row.target_sq
+    return float(max(total, 0.0) / max(1, row.n_rows))
+
+
+def compare(name: str, train: DataFrame, test: DataFrame | None, gamma: float, methods: Iterable[str], grid: Sequence[int], repeats: int, spec: RidgeSpec = EMB) -> list[tuple]:
+    """Errors and times of each method and sketch size on one workload.
+
+    All sketches come from one pass over ``train``, all errors on ``test`` from its moments, in one
+    more; only sketches reach the driver. Training time is what all tasks spent in a sketch, merges
+    included; a query is one solution. The exact method queries as often as the sketch it stands
+    beside, once every ``ell`` rows.
+    """
+    plans = [SketchPlan("exact_ridge", 1)]
+    for method in methods:
+        if method != "exact_ridge":
+            plans += [SketchPlan(method, ell, seed) for ell in grid for seed in range(repeats if method in RANDOMISED else 1)]
+    found = {r["plan"]: SketchRow.from_dict(r.asDict()) for r in fit_many(train, spec, plans).collect()}
+    if not found:
+        return []
+    exact = found[0]
+    gram, n, d = full_gram(exact), exact.n_rows, exact.n_features
+    held = None if test is None else [SketchRow.from_dict(r.asDict()) for r in fit_sketch(test, spec, "exact_ridge", 1).collect()]
+    best = coefficients(exact, gamma)[:, 0]
+
+    def cell(row: SketchRow) -> tuple:
+        began = time.perf_counter()
+        x = coefficients(row, gamma)[:, 0]
+        asked = time.perf_counter() - began
+        return row.train_ns / 1e9, asked, metrics.coef_error(x, best), metrics.cov_error(gram, row), _loss(exact, x), _loss(held[0], x) if held else None
+
+    def line(method: str, ell: int, rows: list[SketchRow], cells: list[tuple]) -> tuple:
+        mean = [float(np.mean(c)) if c[0] is not None else None for c in zip(*cells, strict=True)]
+        train_s, query_s = mean[:2]
+        spent = metrics.amortised_seconds(train_s, query_s, n, ell)
+        spread = [float(np.std([c[k] for c in cells])) for k in (2, 0)]
+        cost = metrics.space_report(rows[0])["bytes"], rows[0].n_svd, certificate(rows[0], gamma)
+        return (name, method, n, d, ell, gamma, len(cells), train_s, query_s, train_s + query_s, spent, *mean[2:], *spread, *cost)
+
     out = []
-    for name, (a, b, ta, tb, gamma) in sets.items():
-        gram = a.T @ a
-        exact = np.linalg.solve(gram + gamma * np.eye(a.shape[1]), a.T @ b)
-        for method in methods:
-            for ell in [1] if method == "exact_ridge" else grid or ell_grid(a.shape[1]):
-                for seed in range(repeats if method in RANDOMISED else 1):
-                    out.append(measure(name, a, b, (ta, tb), method, ell, gamma, seed, exact, gram))
+    for method in methods:
+        if method == "exact_ridge":
+            cells = [cell(exact)]
+            out += [line(method, ell, [exact], cells) for ell in grid]
+            continue
+        for ell in grid:
+            rows = [found[k] for k, p in enumerate(plans) if (p.method, p.ell) == (method, ell)]
+            out.append(line(method, ell, rows, [cell(r) for r in rows]))
+    return out
+
+
+def error_frontier(spark: SparkSession, sets: dict[str, tuple], methods: Iterable[str] = COMPARED, grid: Sequence[int] = (8, 16, 32, 64), repeats: int = 10) -> DataFrame:
+    """The comparison on several workloads. ``sets``: name -> (train rows, test rows, penalty)."""
+    out = [row for name, (train, test, gamma) in sets.items() for row in compare(name, train, test, gamma, methods, grid, repeats)]
     return spark.createDataFrame(out, RESULT)
 
 
-def paper_size(n: int, d: int, rank_frac: float, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    return rows_block(0, n, d, max(1, int(rank_frac * d)), seed, 2.0)
+def _split(rows: DataFrame, label: str) -> tuple[DataFrame, DataFrame]:
+    return ft.train_test(materialise(rows, label), "row_id")
 
 
-def _split(rows: DataFrame, limit: int = 10_000) -> tuple:
-    train, test = ft.train_test(rows, "row_id")
-    return (*wl.dense(train, limit), *wl.dense(test, limit))
+def _generated(spark: SparkSession, n: int, d: int, rank_frac: float, n_test: int = 0) -> tuple[DataFrame, DataFrame | None]:
+    rows = materialise(generate_ridge_rows(spark, n + n_test, d, rank_frac, block=min(256, n)), "generated-rows")
+    return rows.where(F.col("row_id") < n), rows.where(F.col("row_id") >= n) if n_test else None
 
 
 #: Penalties that the reference reports for its low-rank and high-rank sets.
 PUBLISHED_GAMMA = {"low_rank": (0.1, 4096.0), "high_rank": (0.5, 32768.0)}
 
 
-def published_size(spark: SparkSession, grid: Iterable[int] = (16, 32, 64, 128, 256), repeats: int = 10, n: int = 8192, d: int = 2048, n_test: int = 2048) -> DataFrame:
-    """The comparison at its published size and penalties: 8192 training and 2048 test rows of 2048
-    features. Minutes to an hour on one core, so it is no registered query."""
-    sets = {}
-    for name, (frac, gamma) in PUBLISHED_GAMMA.items():
-        a, b = paper_size(n + n_test, d, frac)
-        sets[name] = (a[:n], b[:n], a[n:], b[n:], gamma)
+def series_shingles(spark: SparkSession, sf_dir: str, n: int, d: int, seed: int = 0) -> DataFrame:
+    """``n`` shingles of ``d`` differences of the hourly event series, drawn without replacement."""
+    return ft.sample_rows(wl.workload_event_shingles(spark, sf_dir, d), "row_id", n, seed)
+
+
+def published_size(spark: SparkSession, sf_dir: str, grid: Sequence[int] = (16, 32, 64, 128, 256), repeats: int = 10, n: int = 8192, d: int = 2048, n_test: int = 2048, series_d: int = 256) -> DataFrame:
+    """The comparison on three sets at the published size and penalties: 8192 training and 2048 test
+    rows of 2048 features. The series is as long as the events table lets it be."""
+    sets = {name: (*_generated(spark, n, d, frac, n_test), gamma) for name, (frac, gamma) in PUBLISHED_GAMMA.items()}
+    series = materialise(series_shingles(spark, sf_dir, n + n_test, series_d), "series-rows")
+    sets["series"] = (*ft.train_test(series, "row_id"), PUBLISHED_GAMMA["high_rank"][1])
     return error_frontier(spark, sets, COMPARED, grid, repeats)
 
 
+@query()
+def experiment_published(spark, sf_dir):
+    """The published comparison at an eighth of its rows and features, penalties to scale; the bench
+    can run the whole."""
+    n, d = 1024, 256
+    sets = {name: (*_generated(spark, n, d, frac, 256), gamma / 8) for name, (frac, gamma) in PUBLISHED_GAMMA.items()}
+    series = materialise(series_shingles(spark, sf_dir, n, 64), "series-rows")
+    sets["series"] = (*ft.train_test(series, "row_id"), 512.0)
+    return error_frontier(spark, sets, COMPARED, (16, 32, 64, 128), 10)
+
+
 @query()
 def experiment_error_frontier(spark, sf_dir):
     """Errors against rows on the low-rank, high-rank and series stand-ins."""
-    sets = {"low_rank": (*_split(wl.workload_low_rank(spark, sf_dir)), 64.0), "high_rank": (*_split(wl.workload_high_rank(spark, sf_dir)), 512.0), "events": (*_split(wl.workload_event_shingles(spark, sf_dir)), 512.0)}
-    return error_frontier(spark, sets, grid=(8, 16, 32, 64))
+    kinds = {"low_rank": (wl.workload_low_rank, 64.0), "high_rank": (wl.workload_high_rank, 512.0), "events": (wl.workload_event_shingles, 512.0)}
+    return error_frontier(spark, {name: (*_split(rows(spark, sf_dir), "frontier-rows"), gamma) for name, (rows, gamma) in kinds.items()})
 
 
 @query()
 def experiment_small_ell(spark, sf_dir):
     """Very few rows: the robust method's bonus against the plain one."""
-    return error_frontier(spark, {"high_rank": (*_split(wl.workload_high_rank(spark, sf_dir)), 512.0)}, ("fd_ridge", "robust_fd_ridge", "truncated_svd_ridge", "two_level_ridge"), (4, 8, 16, 32), 3)
+    sets = {"high_rank": (*_split(wl.workload_high_rank(spark, sf_dir), "few-rows"), 512.0)}
+    return error_frontier(spark, sets, ("fd_ridge", "robust_fd_ridge", "truncated_svd_ridge", "two_level_ridge"), (4, 8, 16, 32))
 
 
 def mean_gamma_losses(spark: SparkSession, sf_dir: str, workload, repeats: int = 5) -> DataFrame:
@@ -130,29 +177,45 @@ def experiment_gamma_from_sketch(spark, sf_dir):
     return gamma_losses(train, test, EMB, method="robust_fd_ridge", ell=16)
 
 
-def _times(spark: SparkSession, cells: list[tuple[int, int, int]], methods: Iterable[str] = COMPARED) -> DataFrame:
-    out = []
-    for n, d, ell in cells:
-        a, b = paper_size(n, d, 0.5)
-        gram = a.T @ a
-        exact = np.linalg.solve(gram + 512.0 * np.eye(d), a.T @ b)
-        out += [measure("generated", a, b, None, m, 1 if m == "exact_ridge" else ell, 512.0, 0, exact, gram) for m in methods]
-    return spark.createDataFrame(out, RESULT)
+def _times(spark: SparkSession, cells: Sequence[tuple[int, int, Sequence[int]]], methods: Iterable[str] = COMPARED) -> list[tuple]:
+    """Comparison rows of generated data, by (rows, features, sketch sizes)."""
+    return [row for n, d, grid in cells for row in compare("generated", _generated(spark, n, d, 0.5)[0], None, 512.0, methods, grid, 1)]
+
+
+#: (rows, features, sketch sizes) of the timed runs. Sketches go past the number of features.
+BY_ELL = [(1024, 256, (16, 32, 64, 128, 256, 300, 512))]
+BY_FEATURES = [(256, d, (64,)) for d in (64, 128, 256, 512, 1024, 2048)]
+BY_ROWS = [(n, 512, (64,)) for n in (512, 1024, 2048, 4096)]
 
 
 @query()
 def experiment_time_vs_rows(spark, sf_dir):
-    return _times(spark, [(1024, 256, ell) for ell in (16, 32, 64, 128, 256)])
+    return spark.createDataFrame(_times(spark, BY_ELL), RESULT)
 
 
 @query()
 def experiment_time_vs_dim(spark, sf_dir):
-    return _times(spark, [(256, d, 64) for d in (64, 128, 256, 512)])
+    return spark.createDataFrame(_times(spark, BY_FEATURES), RESULT)
 
 
 @query()
 def experiment_time_vs_n(spark, sf_dir):
-    return _times(spark, [(n, 256, 64) for n in (512, 1024, 2048, 4096)])
+    return spark.createDataFrame(_times(spark, BY_ROWS), RESULT)
+
+
+@query()
+def experiment_slopes(spark, sf_dir):
+    """(method, query_by_features, train_by_rows): powers with which the time of one query grows
+    with the features, from 256 on, and that of training with the rows."""
+    column = {c.split()[0]: k for k, c in enumerate(RESULT.split(", "))}
+    queries, trains = _times(spark, BY_FEATURES[2:]), _times(spark, BY_ROWS)
+    out = []
+    for method in COMPARED:
+        mine = lambda rows: [r for r in rows if r[1] == method]  # noqa: B023, E731
+        by_d = metrics.log_slope([r[column["d"]] for r in mine(queries)], [r[column["query_s"]] for r in mine(queries)])
+        by_n = metrics.log_slope([r[column["n"]] for r in mine(trains)], [r[column["train_s"]] for r in mine(trains)])
+        out.append((method, by_d, by_n))
+    return spark.createDataFrame(out, "method string, query_by_features double, train_by_rows double")
 
 
 @query()
@@ -178,8 +241,8 @@ def experiment_eigen_profile(spark, sf_dir):
 @query()
 def experiment_adversarial(spark, sf_dir):
     """Strong axes, then a long weak tail that carries the target: truncation misses it."""
-    a, b = wl.dense(wl.workload_adversarial(spark), 10_000)
-    return error_frontier(spark, {"adversarial": (a, b, a[:1], b[:1], 64.0)}, ("fd_ridge", "robust_fd_ridge", "truncated_svd_ridge"), (8, 16), 1)
+    rows = materialise(wl.workload_adversarial(spark), "adversarial-rows")
+    return error_frontier(spark, {"adversarial": (rows, None, 64.0)}, ("fd_ridge", "robust_fd_ridge", "truncated_svd_ridge"), (8, 16), 1)
 
 
 @query()
@@ -212,21 +275,19 @@ def experiment_required_rows(spark, sf_dir):
 
 @query()
 def experiment_star_join(spark, sf_dir):
-    """Tall data: order lines with their dimensions, one pass each, errors on held-out rows."""
+    """Tall data: order lines with their dimensions, one pass for all methods, errors on held-out rows."""
     rows = materialise(wl.workload_star(spark, sf_dir, 32), "star-rows")
     train, test = ft.train_test(rows.withColumn("key", F.pmod("row_id", F.lit(1_000_003))), "key")
-    spec, out = RidgeSpec("features", "target", "row_id", n_features=32), None
-    for method, ell in (("exact_ridge", 1), ("robust_fd_ridge", 16), ("fd_ridge", 16), ("truncated_svd_ridge", 16), ("sign_projection_ridge", 16), ("count_sketch_ridge", 16)):
-        part = prediction_error(test, solve(fit_sketch(train, spec, method, ell, batch_rows=64), 64.0), spec).withColumn("method", F.lit(method))
-        out = part if out is None else out.unionByName(part)
-    return out.select("method", "n", "pred_mse")
+    spec = RidgeSpec("features", "target", "row_id", n_features=32)
+    methods = ("exact_ridge", "robust_fd_ridge", "fd_ridge", "truncated_svd_ridge", "sign_projection_ridge", "count_sketch_ridge")
+    return spark.createDataFrame(compare("star", train, test, 64.0, methods, (16,), 3, spec), RESULT)
 
 
 @query()
 def experiment_daily_series(spark, sf_dir):
     """Longer series, more features: daily orders and daily prices."""
-    sets = {f"{table}_{d}": (*_split(wl.workload_daily_shingles(spark, sf_dir, table, d)), 64.0) for table in ("orders", "lineitem") for d in (64,)}
-    return error_frontier(spark, sets, ("fd_ridge", "robust_fd_ridge", "sign_projection_ridge"), (16, 32), 2)
+    sets = {f"{table}_{d}": (*_split(wl.workload_daily_shingles(spark, sf_dir, table, d), "daily-rows"), 64.0) for table in ("orders", "lineitem") for d in (64, 128, 256)}
+    return error_frontier(spark, sets, ("fd_ridge", "robust_fd_ridge", "sign_projection_ridge", "exact_ridge"), (16, 32))
 
 
 @query()

@@ -6,7 +6,8 @@ and the merge a short chain of small grouped maps: only sketch rows are ever shu
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -101,12 +102,29 @@ def _merge_tables(method: str, groups: int, options: dict):
     return merge
 
 
-def merge_sketches(sketches: DataFrame, by: tuple[str, ...] | list[str] = (), fan_in: int = 16, parts: int | None = None, method: str | None = None, **options) -> DataFrame:
-    """One sketch per key from any number of partial ones.
+def expected_partitions(df: DataFrame) -> int:
+    """About how many partitions ``df`` will have, from its plan and the settings: starts no job."""
+    spark = df.sparkSession
+    cores = spark.sparkContext.defaultParallelism
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    split = spark._jvm.org.apache.spark.sql.internal.SQLConf.get().filesMaxPartitionBytes()
+    total = cores
+    for k in range(leaves.size()):
+        size = int(str(leaves.apply(k).stats().sizeInBytes()))
+        total += cores if size >= 1 << 60 else -(-size // split)  # a table of unknown size
+    return int(min(1 << 20, max(total, int(spark.conf.get("spark.sql.shuffle.partitions")))))
+
+
+def merge_sketches(
+    sketches: DataFrame, by: tuple[str, ...] | list[str] = (), fan_in: int = 16, parts: int | None = None, method: str | None = None, **options
+) -> DataFrame:
+    """One sketch per key from any number of partial ones; lazy where ``method`` is given.
 
     A tree of grouped merges: each level takes ``fan_in`` neighbours (by part_id) into one, so a
-    task holds that many sketches at most. Sketches of several sites are merged by giving their
-    union; squared norms, moments and removed amounts add up.
+    task holds about that many sketches. Sketches of several sites are merged by giving their
+    union; squared norms, moments and removed amounts add up. ``parts`` is how many there are, as
+    far as is known: the tree's depth. Where there are more, those whose numbers agree modulo its
+    width share a place, and still one sketch comes out.
     """
     by = tuple(by)
     if method is None:
@@ -114,17 +132,17 @@ def merge_sketches(sketches: DataFrame, by: tuple[str, ...] | list[str] = (), fa
         if not found:
             return sketches.select(*by, *SKETCH_TYPE.fieldNames())
         method = found[0][0]
-    if parts is None:
-        parts = int(sketches.agg(F.max("part_id")).first()[0] or 0) + 1
     schema = sketch_schema(sketches, by)
-    current = sketches.select(*by, *SKETCH_TYPE.fieldNames())
-    while True:
-        parts = -(-parts // fan_in)
-        bucket = F.floor(F.col("part_id") / F.lit(fan_in)).alias("bucket")
-        current = current.withColumn("part_id", F.col("part_id")).groupBy(*by, bucket).applyInArrow(_merge_tables(method, len(by), options), schema)
-        current = current.withColumn("part_id", F.floor(F.col("part_id") / F.lit(fan_in)).cast("long"))
-        if parts <= 1:
-            return current
+    width = fan_in
+    while width < (256 if parts is None else parts):
+        width *= fan_in
+    current = sketches.select(*by, *SKETCH_TYPE.fieldNames()).withColumn("part_id", F.pmod("part_id", F.lit(width)).cast("long"))
+    while width > 1:
+        width //= fan_in
+        place = F.floor(F.col("part_id") / F.lit(fan_in)).cast("long")
+        merged = current.groupBy(*by, place.alias("bucket")).applyInArrow(_merge_tables(method, len(by), options), schema)
+        current = merged.withColumn("part_id", place)
+    return current
 
 
 def partial_sketches(df: DataFrame, spec: RidgeSpec, method: str, ell: int, *, seed: int = 0, **options) -> DataFrame:
@@ -159,10 +177,68 @@ def fit_sketch(df: DataFrame, spec: RidgeSpec, method: str, ell: int, *, batch_r
     elif partitions:
         df = df.repartition(partitions)
     partial = partial_sketches(df, spec, method, ell, seed=seed, **options)
-    parts = partitions or df.rdd.getNumPartitions()
+    parts = partitions or expected_partitions(df)
     return merge_sketches(partial, spec.group_by, merge_fan_in, parts, method, **options)
 
 
+@dataclass(frozen=True)
+class SketchPlan:
+    """One of several sketches that a single pass makes."""
+
+    method: str
+    ell: int
+    seed: int = 0
+    options: tuple[tuple[str, object], ...] = ()
+
+    def sketcher(self, width: int, targets: int):
+        return make_sketcher(self.method, self.ell, width, targets, self.seed, **dict(self.options))
+
+
+def fit_many(df: DataFrame, spec: RidgeSpec, plans: Sequence[SketchPlan], fan_in: int = 16) -> DataFrame:
+    """(plan, sketch columns...): all sketches of ``plans`` from one pass over ``df``, each merged in
+    a tree of its own; lazy. For comparisons: a task holds every plan's sketch at once."""
+    ship_package(df.sparkSession)
+    width, targets, policy = feature_count(df, spec), len(spec.targets), spec.on_invalid
+    schema = T.StructType([T.StructField("plan", T.IntegerType()), *SKETCH_TYPE.fields])
+    if width is None:
+        return df.sparkSession.createDataFrame([], schema)
+    plans, named = list(plans), [pa.field("plan", pa.int32())]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part = TaskContext.get().partitionId() if TaskContext.get() else 0
+        made = [p.sketcher(width, targets) for p in plans]
+        seen = False
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            seen = True
+            x, _ = flat_matrix(batch.column(0), width)
+            y, _ = flat_matrix(batch.column(1), targets)
+            x, y, used = usable(x, y, policy)
+            for sketcher in made:
+                sketcher.n_skipped += int((~used).sum())
+                if len(x):
+                    sketcher.update(x, y, batch.column(2).to_numpy(zero_copy_only=False)[used])
+        if seen:
+            for k, sketcher in enumerate(made):
+                yield from _table([(k,)], [sketcher.finish(part)], named).to_batches()
+
+    def merge(table: pa.Table) -> pa.Table:
+        plan = plans[table.column("plan")[0].as_py()]
+        return _merge_tables(plan.method, 1, dict(plan.options))(table)
+
+    slim = RidgeSpec(spec.features, spec.target, spec.row_id, (), policy, spec.fit_intercept, spec.n_features)
+    rows, at_most, wide = design_rows(df, slim), expected_partitions(df), fan_in
+    while wide < at_most:
+        wide *= fan_in
+    current = rows.mapInArrow(run, schema).withColumn("part_id", F.pmod("part_id", F.lit(wide)).cast("long"))
+    while wide > 1:
+        wide //= fan_in
+        place = F.floor(F.col("part_id") / F.lit(fan_in)).cast("long")
+        current = current.groupBy("plan", place.alias("bucket")).applyInArrow(merge, schema).withColumn("part_id", place)
+    return current
+
+
 def fit_sparse(df: DataFrame, width: int, ell: int, *, features: str = "sparse", target: str = "target", seed: int = 0, fan_in: int = 16, power_steps: int = 4) -> DataFrame:
     """The plain sketch of sparse rows: ``features`` is struct<indices array<int>, values array<double>>."""
     ship_package(df.sparkSession)
@@ -179,7 +255,7 @@ def fit_sparse(df: DataFrame, width: int, ell: int, *, features: str = "sparse",
             yield from _table([()], [sketcher.finish(part)], []).to_batches()
 
     partial = rows.mapInArrow(run, SKETCH_TYPE)
-    return merge_sketches(partial, (), fan_in, df.rdd.getNumPartitions(), "fd_ridge")
+    return merge_sketches(partial, (), fan_in, expected_partitions(df), "fd_ridge")
 
 
 def collect_sketch(sketches: DataFrame) -> SketchRow:

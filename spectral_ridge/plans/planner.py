@@ -9,6 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 
 from ..operators.design import RidgeSpec, feature_count
+from ..operators.fit import expected_partitions
 from .bounds import required_rows
 
 
@@ -49,7 +50,7 @@ def rows_for_target(tail: np.ndarray, gamma: float, eps: float, robust: bool = T
 def plan_fit(df: DataFrame, spec: RidgeSpec, ell: int, method: str = "robust_fd_ridge") -> FitPlan:
     d = feature_count(df, spec) or 0
     chosen, reason = choose_method(d, ell, method)
-    parts, fan_in = df.rdd.getNumPartitions(), choose_fan_in(ell, max(d, 1))
+    parts, fan_in = expected_partitions(df), choose_fan_in(ell, max(d, 1))
     size = 8 * (d * (d + 1) // 2 if chosen == "exact_ridge" else ell * d) + 8 * d
     return FitPlan(chosen, ell, d, parts, fan_in, max(1, math.ceil(math.log(max(parts, 2), fan_in))), size, reason)
 

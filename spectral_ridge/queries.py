@@ -20,7 +20,7 @@ from .operators import relational as rel
 from .operators.design import RidgeSpec
 from .operators.fit import collect_sketch, fit_sketch, fit_sparse, merge_sketches
 from .operators.predict import predict, prediction_error
-from .operators.solve import coefficients, gram_of, long_coefficients, solve, solve_components, solve_dual, solve_pinv, solve_primal
+from .operators.solve import coefficients, gram_of, long_coefficients, solve, solve_components, solve_dual, solve_primal
 from .plans import bounds, metrics
 from .plans.gamma import gamma_losses, select_gamma
 from .plans.risk import risk, risk_factors
@@ -585,17 +585,16 @@ def multi_site_sketches(spark, sf_dir):
     return per.select("lang", "n_rows", "frob_sq", "shrink_total").unionByName(merge_sketches(ids, (), 64, 64, "fd_ridge").select(F.lit("all").alias("lang"), "n_rows", "frob_sq", "shrink_total"))
 
 
-def _solver_grid(spark, sf_dir):
-    a, b = wl.dense(wl.workload_low_rank(spark, sf_dir), 200)
-    g, k = 64.0, a.T @ a
-    return {"primal": solve_primal(k, a.T @ b, g), "dual": solve_dual(a, b, g), "pinv": solve_pinv(k, a.T @ b)}
+_PRIMAL_DUAL = " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS idx, round({x}, 6) AS primal_coef, round({x}, 6) AS dual_coef FROM m" for i, x in enumerate(cramer("a", "b", "d", "0.5")))
 
 
-@query()
+@query(f"WITH m AS ({moments_sql(_N_ROWS)}) {_PRIMAL_DUAL}")
 def solver_forms_agree(spark, sf_dir):
-    """Primal and dual forms on the same rows."""
-    out = _solver_grid(spark, sf_dir)
-    return spark.createDataFrame([(i, float(p), float(d)) for i, (p, d) in enumerate(zip(out["primal"], out["dual"], strict=True))], "idx int, primal double, dual double")
+    """The d x d and the n x n form, on a table of 25 rows by its nature."""
+    rows = load_table(spark, sf_dir, "nation").select(F.col("n_nationkey").alias("row_id"), F.array(F.col("n_nationkey") / 25.0, F.col("n_regionkey") / 5.0).alias("features"), (F.length("n_name") / 10.0).alias("target"))
+    a, b = wl.dense(rows, 1000)
+    primal, dual = solve_primal(a.T @ a, a.T @ b, 0.5), solve_dual(a, b, 0.5)
+    return spark.createDataFrame([(i, round(float(p), 6), round(float(q), 6)) for i, (p, q) in enumerate(zip(primal, dual, strict=True))], "idx int, primal_coef double, dual_coef double")
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,17 +12,26 @@ class TwoLevelSketcher(SpectralSketcher):
     """Top level of at most 3k directions; each direction loses min(squared value, delta), and
     ``ell - 3k`` independent slots each hold one lost direction, drawn in proportion to its lost
     mass. Slots scaled by the mean mass stand for the lost part without bias.
+
+    A factorisation takes in as many new rows as the top level holds, so that a row costs d * k
+    operations however many slots there are.
     """
 
     def setup(self, k: int | None = None, **options) -> None:
-        super().setup(**options)
         self.k = int(k if k is not None else max(1, self.ell // 4))
         self.cap = min(3 * self.k, self.ell)
+        super().setup(**{"batch_rows": self.cap} | {n: v for n, v in options.items() if v is not None})
+        self.first_id: int | None = None
         self.slots = max(1, self.ell - self.cap)
         self.sample = np.zeros((self.slots, self.d))
         self.mass = 0.0
         self.draws = 0
 
+    def absorb(self, x: np.ndarray, y: np.ndarray, ids: np.ndarray) -> None:
+        if self.first_id is None and len(ids):
+            self.first_id = int(ids[0])
+        super().absorb(x, y, ids)
+
     def offer(self, vectors: np.ndarray, weights: np.ndarray) -> None:
         """Unit vectors with lost mass, for the slots."""
         live = weights > 0
@@ -39,8 +48,8 @@ class TwoLevelSketcher(SpectralSketcher):
         self.sample[enter] = vectors[pick[enter]]
 
     def part_tag(self) -> int:
-        """A number of this sketch's own, from what it has seen: slots of different parts differ."""
-        return int(np.float64(self.frob_sq).view(np.int64) % 1_000_000_007)
+        """A number of this sketch's own, from its first row's id: slots of different parts differ."""
+        return (self.first_id or 0) % 1_000_000_007
 
     def compress(self, rows: np.ndarray) -> None:
         sigma, basis = factor(np.concatenate([self.sigma[:, None] * self.basis, rows]), self.svd)

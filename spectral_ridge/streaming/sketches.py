@@ -63,6 +63,11 @@ class SketchLedger:
         return True
 
 
+def _kernel_options(options: dict) -> dict:
+    """Options of the sketch itself, without those of the fit around it."""
+    return {k: v for k, v in options.items() if k not in ("seed", "merge_fan_in", "partitions", "deterministic_order")}
+
+
 def stream_sketch(stream: DataFrame, spec: RidgeSpec, method: str, ell: int, ledger: SketchLedger, checkpoint: str, on_batch: Callable[[int, DataFrame], None] | None = None, available_now: bool = True, trigger_seconds: int = 10, **options):
     """Start the query that folds each micro-batch into the ledger's sketch.
 
@@ -70,7 +75,7 @@ def stream_sketch(stream: DataFrame, spec: RidgeSpec, method: str, ell: int, led
     """
     def step(rows: DataFrame, batch_id: int) -> None:
         fresh = fit_sketch(rows, spec, method, ell, **options)
-        if ledger.commit(batch_id, fresh, spec.group_by, method, **{k: v for k, v in options.items() if k not in ("seed", "merge_fan_in")}) and on_batch is not None:
+        if ledger.commit(batch_id, fresh, spec.group_by, method, **_kernel_options(options)) and on_batch is not None:
             on_batch(batch_id, ledger.current())
 
     writer = stream.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint)
@@ -99,7 +104,7 @@ def windowed_sketches(rows: DataFrame, spec: RidgeSpec, method: str, ell: int, t
     starts = F.expr(f"sequence(pane_start - INTERVAL {length} + INTERVAL {slide}, pane_start, INTERVAL {slide})")
     spread = sketches.withColumn("window_start", F.explode(starts)).withColumn("part_id", F.unix_seconds("pane_start")).drop("pane_start")
     ranked = spread.withColumn("part_id", F.pmod(F.col("part_id"), F.lit(16)).cast("long"))
-    return merge_sketches(ranked, (*spec.group_by, "window_start"), 1 << 20, 16, method)
+    return merge_sketches(ranked, (*spec.group_by, "window_start"), 16, 16, method, **_kernel_options(options))
 
 
 def session_sketches(rows: DataFrame, spec: RidgeSpec, method: str, ell: int, time: str, gap: str, user: str, **options) -> DataFrame:

@@ -102,6 +102,9 @@ def workload_flat(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def dense(df: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Rows as matrices on the driver, for tests and small experiments: ``n`` rows at most."""
-    rows = df.select("row_id", "features", "target").orderBy("row_id").limit(n).collect()
+    """All rows as matrices on the driver, for tables of at most ``n`` rows: a larger one is an error."""
+    rows = df.select("row_id", "features", "target").limit(n + 1).collect()
+    if len(rows) > n:
+        raise ValueError(f"more than {n} rows")
+    rows.sort(key=lambda r: r[0])
     return np.array([r[1] for r in rows], dtype=np.float64), np.array([r[2] for r in rows], dtype=np.float64)

@@ -9,6 +9,7 @@ import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
+from spectral_ridge import experiments
 from spectral_ridge.queries import QUERIES, SQL
 
 SLOW = {"experiment_time_vs_rows", "experiment_time_vs_dim", "experiment_time_vs_n"}
@@ -69,6 +70,23 @@ def test_findings(spark):
     assert pcr[pcr.method == "pcr"]["coef_err"].max() > pcr[pcr.method == "ridge"]["coef_err"].max()
 
 
+def test_comparison_repeats_and_charges_the_exact_method(spark):
+    df = QUERIES["experiment_small_ell"](spark, "/root/testdata/sf0.001").toPandas()
+    assert set(df[df.method == "two_level_ridge"]["repeats"]) == {10} and set(df[df.method == "fd_ridge"]["repeats"]) == {1}
+    rows = experiments.compare("t", *experiments._generated(spark, 512, 32, 0.5, 64), 64.0, ("exact_ridge", "fd_ridge"), (8, 32), 1)
+    exact = [dict(zip((c.split()[0] for c in experiments.RESULT.split(", ")), r)) for r in rows if r[1] == "exact_ridge"]
+    assert [r["ell"] for r in exact] == [8, 32] and all(r["coef_err"] < 1e-9 for r in exact)
+    assert abs(exact[0]["amortised_s"] - exact[0]["train_s"] - 64 * exact[0]["query_s"]) < 1e-9
+
+
+def test_slopes_of_times(spark):
+    """A query grows with the cube of the features for the exact method, far slower for the spectral
+    ones; training grows with the rows (wide margins: these are times)."""
+    by = {r["method"]: r for r in QUERIES["experiment_slopes"](spark, "").collect()}
+    assert by["exact_ridge"]["query_by_features"] > by["fd_ridge"]["query_by_features"] + 0.5
+    assert all(0.4 < by[m]["train_by_rows"] < 1.8 for m in ("fd_ridge", "robust_fd_ridge"))
+
+
 def test_measures_hold(spark, sf):
     gaps = QUERIES["measure_prediction_gap"](spark, sf).collect()
     assert gaps and all(r["gap"] <= r["bound"] * (1 + 1e-9) for r in gaps)
