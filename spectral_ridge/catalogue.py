@@ -13,7 +13,7 @@ from .operators.predict import dot
 from .queries import D2, S_ROWS, _rounded, cramer, moments_sql, query, supplier_rows, two_rows
 from .runtime import shared_dir, ship_package
 from .sources.tables import SCHEMAS, load_table, read_stream
-from .streaming.sketches import SketchLedger, stream_sketch
+from .streaming.sketches import SketchLedger, anytime_solution, stream_sketch
 
 
 def t(spark, sf_dir, name, *columns):
@@ -85,11 +85,12 @@ def op_left_join_labels(spark, sf_dir):
     return joined.groupBy("lang").agg(F.count("*").alias("n"), F.count("quality").alias("labelled"), F.coalesce(F.sum("quality"), F.lit(0)).alias("good"))
 
 
-@query("SELECT coalesce(a.k, b.k) AS k, a.n AS customers, b.n AS suppliers FROM (SELECT c_nationkey AS k, count(*) AS n FROM customer WHERE c_nationkey % 3 <> 0 GROUP BY 1) a FULL OUTER JOIN (SELECT s_nationkey AS k, count(*) AS n FROM supplier WHERE s_nationkey % 2 = 0 GROUP BY 1) b ON a.k = b.k")
+@query("SELECT coalesce(d.doc_id, b.item_id) AS k, d.n_chars, length(b.text) AS item_chars FROM documents d FULL OUTER JOIN benchmark b ON d.doc_id = b.item_id")
 def op_full_outer_join(spark, sf_dir):
-    a = t(spark, sf_dir, "customer", "c_nationkey").where("c_nationkey % 3 <> 0").groupBy(F.col("c_nationkey").alias("k")).agg(F.count("*").alias("customers"))
-    b = t(spark, sf_dir, "supplier", "s_nationkey").where("s_nationkey % 2 = 0").groupBy(F.col("s_nationkey").alias("k")).agg(F.count("*").alias("suppliers"))
-    return a.join(b, "k", "full")
+    """Two tables whose keys overlap in part."""
+    d = t(spark, sf_dir, "documents", "doc_id", "n_chars")
+    b = t(spark, sf_dir, "benchmark", "item_id", "text").select("item_id", F.length("text").cast("long").alias("item_chars"))
+    return d.join(b, F.col("doc_id") == F.col("item_id"), "full").select(F.coalesce("doc_id", "item_id").alias("k"), "n_chars", "item_chars")
 
 
 @query("SELECT doc_id, n_chars FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)")
@@ -161,9 +162,11 @@ def op_distinct_agg(spark, sf_dir):
     return t(spark, sf_dir, "events", "event_type", "user_id").groupBy("event_type").agg(F.countDistinct("user_id").alias("users"))
 
 
-@query()
+@query("SELECT event_type, count(DISTINCT user_id) AS users, true AS near FROM events GROUP BY 1")
 def op_approx_distinct(spark, sf_dir):
-    return t(spark, sf_dir, "events", "event_type", "user_id").groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"))
+    """The exact count, and whether the approximate one is within four of its standard errors."""
+    near = F.abs(F.approx_count_distinct("user_id", 0.02) - F.countDistinct("user_id")) <= 0.08 * F.countDistinct("user_id")
+    return t(spark, sf_dir, "events", "event_type", "user_id").groupBy("event_type").agg(F.countDistinct("user_id").alias("users"), near.alias("near"))
 
 
 _CNR = "FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
@@ -369,18 +372,22 @@ def op_session_window(spark, sf_dir):
     return e.groupBy("user_id", F.session_window("ts", "2 hours").alias("w")).agg(F.count("*").alias("n")).select("user_id", F.unix_micros("w.start").alias("start_us"), "n")
 
 
-@query()
+@query("SELECT start_s, n FROM (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start_s, count(*) AS n FROM events GROUP BY 1) WHERE start_s + 3600 <= (SELECT epoch_ms(max(ts)) / 1000.0 - 3600 FROM events)")
 def op_stream_watermark_counts(spark, sf_dir):
-    """Hourly counts as a stream with a watermark, run to the end of the table."""
+    """Hourly counts as a stream with a watermark, run to the end of the table into files: the hours
+    that the watermark has closed."""
     stream = read_stream(spark, sf_dir, schema=SCHEMAS["events"], pathGlobFilter="events.parquet")
-    name = f"counts_{uuid.uuid4().hex}"
+    base = f"{shared_dir(spark)}/counts-{uuid.uuid4().hex}"
     counts = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour")).agg(F.count("*").alias("n")).select(F.unix_seconds("window.start").alias("start_s"), "n")
-    q = counts.writeStream.outputMode("append").format("memory").queryName(name).option("checkpointLocation", f"{shared_dir(spark)}/stream-{name}").trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    writer = counts.writeStream.outputMode("append").format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/state")
+    writer.trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(counts.schema).parquet(f"{base}/out")
 
 
-@query()
+_E_ROWS = "SELECT value / 100 AS p, hour(ts) / 24.0 AS q FROM events"
+
+
+@query(f"SELECT CAST(count(*) AS BIGINT) AS n_rows, round(sum(p * p + q * q), 4) AS frob_sq, CAST(2 AS INTEGER) AS rank FROM ({_E_ROWS})")
 def op_stream_sketch(spark, sf_dir):
     """A global sketch of the event stream through the ledger: (n_rows, frob_sq, rank)."""
     ship_package(spark)
@@ -389,7 +396,7 @@ def op_stream_sketch(spark, sf_dir):
     base = f"{shared_dir(spark)}/ledger-{uuid.uuid4().hex}"
     ledger = SketchLedger(spark, f"{base}/sketch")
     stream_sketch(rows, D2, "fd_ridge", 2, ledger, f"{base}/checkpoint").awaitTermination()
-    return ledger.current().select("n_rows", "frob_sq", "rank")
+    return _rounded(ledger.current().select("n_rows", "frob_sq", "rank"), 4, "frob_sq")
 
 
 # ---------------------------------------------------------------- functions
@@ -450,9 +457,26 @@ def op_roundtrip_csv_json_orc(spark, sf_dir):
     return parts[0].intersect(parts[1]).intersect(parts[2])
 
 
-@query()
+_A_ROWS = "SELECT s_suppkey % 4 AS part, * FROM (SELECT s_suppkey, s_acctbal / 1e4 AS p, s_nationkey / 25.0 AS q, s_suppkey / 100.0 AS t FROM supplier)"
+_UPTO = f"SELECT CAST(b AS BIGINT) AS batch, p, q, t FROM ({_A_ROWS}), (SELECT unnest([0, 1, 2, 3]) AS b) WHERE part <= b"
+
+
+@query(f"WITH m AS ({moments_sql(_UPTO, 'batch')}), n AS (SELECT CAST(b AS BIGINT) AS batch, count(*) AS n_rows FROM ({_A_ROWS}), (SELECT unnest([0, 1, 2, 3]) AS b) WHERE part <= b GROUP BY 1) SELECT batch, n_rows, idx, coef, CAST(0.0 AS DOUBLE) AS certificate FROM ({two_rows(*cramer('a', 'b', 'd', '2.0'), 'm', 5, 'batch')}) JOIN n USING (batch)")
 def op_anytime_solution(spark, sf_dir):
-    """Coefficients of a partly read stream: the sketch of half the rows, with its certificate."""
-    rows = supplier_rows(spark, sf_dir).where("k % 2 = 0")
-    row = collect_sketch(fit_sketch(rows, D2, "fd_ridge", 1))
-    return spark.createDataFrame([(int(row.n_rows), float(row.shrink_total), float(np.sqrt(row.frob_sq)))], "n_rows long, shrink_total double, frob double")
+    """Coefficients after every micro-batch of a stream of four files: what was read up to then, its
+    solution and its certificate."""
+    ship_package(spark)
+    base = f"{shared_dir(spark)}/anytime-{uuid.uuid4().hex}"
+    rows = supplier_rows(spark, sf_dir).withColumn("k", F.col("k").cast("long"))
+    for part in range(4):  # the arrivals: one file after the other
+        rows.where(F.pmod("k", F.lit(4)) == part).coalesce(1).write.mode("append").parquet(f"{base}/in")
+    ledger, answers = SketchLedger(spark, f"{base}/sketch"), []
+
+    def answer(batch_id: int, _) -> None:
+        found = anytime_solution(ledger, 2.0).select(F.lit(batch_id).cast("long").alias("batch"), "n_rows", F.posexplode("coefficients").alias("idx", "coef"), "certificate")
+        answers.extend(found.collect())
+
+    stream = read_stream(spark, f"{base}/in", schema="k long, p double, q double, t double", maxFilesPerTrigger=1, recursiveFileLookup=True)
+    stream_sketch(stream, D2, "fd_ridge", 2, ledger, f"{base}/checkpoint", answer).awaitTermination()
+    out = spark.createDataFrame(answers, "batch long, n_rows long, idx int, coef double, certificate double")
+    return _rounded(out, 5, "coef", "certificate")

@@ -37,7 +37,11 @@ def norm_udf():
 
     @F.pandas_udf("double")
     def vector_norm(v: pd.Series) -> pd.Series:
-        return v.map(lambda x: float(np.sqrt(np.dot(x, x))) if x is not None else None)
+        held = v[v.notna()]
+        lengths = held.map(len).to_numpy(dtype=np.int64)
+        square = np.concatenate([[0.0], np.cumsum(np.concatenate([*held, np.zeros(0)]) ** 2)])
+        ends = np.cumsum(lengths)
+        return pd.Series(np.sqrt(np.maximum(square[ends] - square[ends - lengths], 0.0)), held.index).reindex(v.index)
 
     return vector_norm
 

@@ -6,6 +6,7 @@ and the merge a short chain of small grouped maps: only sketch rows are ever shu
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
@@ -102,17 +103,23 @@ def _merge_tables(method: str, groups: int, options: dict):
     return merge
 
 
+#: Numbers of partitions that a plan's text names.
+_ASKED = re.compile(r"Repartition(?:ByExpression)? (?:\[.*\], )?(\d+)|splits=Some\((\d+)\)")
+
+
 def expected_partitions(df: DataFrame) -> int:
     """About how many partitions ``df`` will have, from its plan and the settings: starts no job."""
     spark = df.sparkSession
     cores = spark.sparkContext.defaultParallelism
-    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    plan = df._jdf.queryExecution().optimizedPlan()
+    leaves = plan.collectLeaves()
     split = spark._jvm.org.apache.spark.sql.internal.SQLConf.get().filesMaxPartitionBytes()
     total = cores
     for k in range(leaves.size()):
         size = int(str(leaves.apply(k).stats().sizeInBytes()))
         total += cores if size >= 1 << 60 else -(-size // split)  # a table of unknown size
-    return int(min(1 << 20, max(total, int(spark.conf.get("spark.sql.shuffle.partitions")))))
+    asked = [int(n) for pair in _ASKED.findall(plan.toString()) for n in pair if n]
+    return int(min(1 << 20, max([total, int(spark.conf.get("spark.sql.shuffle.partitions")), *asked])))
 
 
 def merge_sketches(

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..runtime import ship_package
-from .design import RidgeSpec, feature_column, number
+from .design import RidgeSpec, feature_column, flat_matrix, number
 from .fit import collect_sketch, fit_sketch
 from .solve import effective_penalty, gram_of, long_coefficients, solve
 
@@ -31,7 +31,7 @@ def leverage_scores(df: DataFrame, sketch: DataFrame, spec: RidgeSpec, gamma: fl
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                x = np.array(batch.column(at).to_pylist(), dtype=np.float64)
+                x, _ = flat_matrix(batch.column(at), row.n_features)
                 score = ((x @ half.T) ** 2).sum(axis=1)
                 yield pa.RecordBatch.from_arrays([*[c for k, c in enumerate(batch.columns) if k != at], pa.array(score)], names=[*[n for k, n in enumerate(batch.schema.names) if k != at], "leverage"])
 

@@ -14,6 +14,7 @@ from ..operators.predict import dot, prediction_error
 from ..operators.solve import gram_of
 from ..sketch import SketchRow
 from ..sketch.linear import full_gram
+from .bounds import prediction_gap_bound
 
 
 def coef_error(approx: np.ndarray, exact: np.ndarray) -> float:
@@ -53,6 +54,17 @@ def prediction_gap(df: DataFrame, approx: DataFrame, exact: DataFrame, spec: Rid
     return df.crossJoin(F.broadcast(both)).withColumn("gap", F.abs(dot(feature_column(df, spec), change))).drop("gap_a", "gap_b")
 
 
+def prediction_gap_block(df: DataFrame, approx: DataFrame, exact: DataFrame, spec: RidgeSpec) -> DataFrame:
+    """(n, gap_norm, gap_max, bound): the gap over a whole block of points. ``bound`` follows from the
+    certificate of ``approx``, the size of the exact coefficients and the block's spectral norm; the
+    models are one row each, the norm comes from the block's Gram matrix."""
+    certified, size = approx.first()["certificate"], float(np.linalg.norm(exact.first()["coefficients"]))
+    top = float(np.sqrt(max(0.0, np.linalg.eigvalsh(gram_matrix(df, spec))[-1])))
+    gaps = prediction_gap(df, approx, exact, spec)
+    summed = gaps.agg(F.count("*").alias("n"), F.sqrt(F.sum(F.col("gap") * F.col("gap"))).alias("gap_norm"), F.max("gap").alias("gap_max"))
+    return summed.withColumn("bound", F.lit(None if certified is None else prediction_gap_bound(certified, size, top)))
+
+
 def gram_matrix(df: DataFrame, spec: RidgeSpec) -> np.ndarray:
     """The exact Gram matrix, d x d, on the driver."""
     return full_gram(collect_sketch(fit_sketch(df, spec, "exact_ridge", 1)))

@@ -45,7 +45,7 @@ def read_rows(spark: SparkSession, path: str | None = None, format: str = "parqu
 def read_libsvm(spark: SparkSession, path: str, width: int) -> DataFrame:
     """(target, sparse) rows of a libsvm file."""
     lines = spark.read.text(path).where("trim(value) <> ''").select(F.split(F.trim("value"), r"\s+").alias("p"))
-    pairs = F.filter(F.slice("p", 2, 1 << 20), lambda x: x.contains(":"))
+    pairs = F.filter("p", lambda x, i: (i > 0) & x.contains(":"))
     at = F.transform(pairs, lambda x: F.split(x, ":")[0].cast("int") - 1)
     values = F.transform(pairs, lambda x: F.split(x, ":")[1].cast("double"))
     return lines.select(F.col("p")[0].cast("double").alias("target"), F.struct(at.alias("indices"), values.alias("values")).alias("sparse"), F.lit(width).alias("width"))

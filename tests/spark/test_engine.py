@@ -375,3 +375,45 @@ def test_monte_carlo_risk_covers_every_row(spark, sf, tmp_path, monkeypatch):
     got = experiments.measure_monte_carlo_risk(spark, str(tmp_path)).first()
     assert np.allclose(used[0], a.T @ a)
     assert abs(got.monte_carlo - got.risk) <= 0.1 * got.risk
+
+
+def test_building_a_fit_starts_no_job(spark):
+    sc = spark.sparkContext
+    left = spark.range(0, 4000, 1, 7).select("id", (F.col("id") % 13 / 13.0).alias("p"))
+    right = spark.range(0, 4000, 1, 5).select(F.col("id").alias("other"), (F.col("id") % 7 / 7.0).alias("q"))
+    sc.setJobGroup("lazy", "")
+    joined = left.join(right.hint("merge"), F.col("id") == F.col("other")).withColumn("t", F.col("p") - F.col("q"))
+    spec = RidgeSpec(["p", "q"], "t", "id")
+    sketch = fit_sketch(joined, spec, "fd_ridge", 2)
+    solution = solve(sketch, 1.0)
+    assert not sc.statusTracker().getJobIdsForGroup("lazy")
+    sc.setJobGroup("run", "")
+    assert solution.count() == 1 and sketch.first()["n_rows"] == 4000
+
+
+@pytest.mark.parametrize("parts", [1, 3, 40])
+def test_one_sketch_under_any_splitting(spark, parts):
+    """More partitions than the tree was planned for still give one row."""
+    rows = spark.range(0, 500, 1, parts).select("id", (F.col("id") / 500.0).alias("p"), F.lit(1.0).alias("q"), F.col("id").cast("double").alias("t"))
+    spec = RidgeSpec(["p", "q"], "t", "id")
+    partial = partial_sketches(rows, spec, "fd_ridge", 2)
+    for width in (1, 2, 300):
+        merged = merge_sketches(partial, (), 2, width, "fd_ridge").collect()
+        assert len(merged) == 1 and merged[0]["n_rows"] == 500
+
+
+def test_errors_of_wide_models_by_product(spark, monkeypatch):
+    rows = generate_ridge_rows(spark, 300, 24, 0.5, block=100)
+    spec = RidgeSpec("features", "target", "row_id")
+    models = solve(fit_sketch(rows, spec, "exact_ridge", 1), [1.0, 50.0]).cache()
+    plain = {r["gamma"]: r["pred_mse"] for r in prediction_error(rows, models, spec).collect()}
+    monkeypatch.setattr("spectral_ridge.operators.predict.WIDE", 8)
+    wide = {r["gamma"]: r["pred_mse"] for r in prediction_error(rows, models, spec).collect()}
+    assert wide.keys() == plain.keys() and all(abs(wide[g] / plain[g] - 1) < 1e-9 for g in plain)
+
+
+def test_sliding_windows_keep_the_options_of_the_fit(spark):
+    rows = spark.range(240).select(F.timestamp_seconds(F.col("id") * 3600).alias("ts"), F.col("id").alias("k"), F.sin("id").alias("p"), F.cos("id").alias("q"), F.lit(1.0).alias("t"))
+    spec = RidgeSpec(["p", "q"], "t", "k")
+    sketches = st.windowed_sketches(rows, spec, "two_level_ridge", 7, "ts", "2 days", "1 day", k=2, seed=3)
+    assert sketches.count() == 11 and {r["ell"] for r in sketches.collect()} == {7}
