@@ -12,7 +12,7 @@ import __spark_entry__ as entry
 from spectral_ridge import experiments
 from spectral_ridge.queries import QUERIES, SQL
 
-SLOW = {"experiment_time_vs_rows", "experiment_time_vs_dim", "experiment_time_vs_n"}
+SLOW = {"experiment_slopes", "experiment_time_vs_rows", "experiment_time_vs_dim", "experiment_time_vs_n"}
 
 
 def rows_of(df):
