@@ -272,6 +272,7 @@ def judge_documents(docs: DataFrame, rules: OutlierRules = OutlierRules()) -> Da
     named, members = _named_groups(stats, rules)
     sound = materialise(members, "outlier-vectors")
     model = fit_groups(sound, rules)
+    discard(sound)
     judged = _with_model(named, model, rules).withColumn("distance", F.when(~F.col("base_failed"), _distance()))
     cutoff = chi2_quantile(1 - rules.tail, P)
     kept = ~F.col("base_failed") & F.coalesce(F.col("distance") <= cutoff, F.lit(True))
