@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -33,6 +33,19 @@ def risk(gram: np.ndarray, approx: np.ndarray, x_true: np.ndarray, noise_sd: flo
     return Risk(float(gap @ gram @ gap), float(noise_sd**2 * np.trace(hk @ hk)), bool(lam[0] <= 1e-10 * lam[-1]))
 
 
+def held_out_risk(gram: np.ndarray, test_gram: np.ndarray, x_true: np.ndarray, noise_sd: float, gammas: Iterable[float]) -> np.ndarray:
+    """Expected squared prediction gap of the exact solution on other rows, over the noise of the
+    training targets, for each penalty. One eigendecomposition serves all of them."""
+    lam, v = np.linalg.eigh(gram)
+    lam, x, other = np.maximum(lam, 0.0), v.T @ x_true, v.T @ test_gram @ v
+    out = []
+    for gamma in gammas:
+        bias = gamma / (lam + gamma) * x
+        variance = noise_sd**2 * float((lam / (lam + gamma) ** 2 * other.diagonal()).sum())
+        out.append(float(bias @ other @ bias) + variance)
+    return np.array(out)
+
+
 def risk_factors(gram: np.ndarray, approx: np.ndarray, gamma: float, form: str = "safe") -> tuple[float, float]:
     """(bias factor, variance factor) that bound the sketched solution's risk by the exact one's.
 

@@ -5,11 +5,12 @@ import collections
 import os
 
 import duckdb
+import numpy as np
 import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
-from spectral_ridge import experiments
+from spectral_ridge import experiments, workloads
 from spectral_ridge.queries import QUERIES, SQL
 
 SLOW = {"experiment_slopes", "experiment_time_vs_rows", "experiment_time_vs_dim", "experiment_time_vs_n"}
@@ -87,6 +88,47 @@ def test_slopes_of_times(spark):
     assert all(0.4 < by[m]["train_by_rows"] < 1.8 for m in ("fd_ridge", "robust_fd_ridge"))
 
 
+def test_best_penalty_follows_noise_and_rank(spark):
+    """Least expected gap near noise variance times rank; twice the noise, four times the penalty."""
+    df = QUERIES["experiment_gamma_noise"](spark, "").toPandas()
+    best = df.loc[df.groupby(["workload", "noise_sd"])["gap_sq"].idxmin()].set_index(["workload", "noise_sd"])
+    for (_, noise_sd), r in best.iterrows():
+        assert 0.5 <= r["gamma"] / (noise_sd**2 * r["rank"]) <= 3
+    for name in ("low_rank", "high_rank"):
+        assert 2 <= best.loc[(name, 4.0), "gamma"] / best.loc[(name, 2.0), "gamma"] <= 8
+
+
+@pytest.fixture(scope="module")
+def embeddings(spark, sf):
+    rows = workloads.workload_high_rank(spark, sf)
+    a, b = workloads.dense(rows, 10_000)
+    return sorted(r[0] for r in rows.select("row_id").collect()), a, b, workloads.GAMMA["high_rank"]
+
+
+def coefficients_of(spark, sf, name):
+    got = QUERIES[name](spark, sf).toPandas().sort_values("idx")
+    return got["coef"].to_numpy()
+
+
+def test_exact_queries_against_numpy(spark, sf, embeddings):
+    ids, a, b, gamma = embeddings
+    h = a.T @ a + gamma * np.eye(a.shape[1])
+    assert np.allclose(coefficients_of(spark, sf, "exact_ridge_embeddings"), np.linalg.solve(h, a.T @ b), atol=1e-8)
+    scores = {r["row_id"]: r["leverage"] for r in QUERIES["leverage_scores_embeddings"](spark, sf).collect()}
+    assert np.allclose([scores[i] for i in ids], np.einsum("ij,ji->i", a, np.linalg.solve(h, a.T)), atol=1e-8)
+
+
+@pytest.mark.parametrize("name", ["fd_ridge_embeddings_lossy", "fd_ridge_shrink_at_ell", "fd_ridge_row_gram", "fd_ridge_batch_one", "robust_fd_ridge_embeddings_lossy"])
+def test_lossy_queries_keep_the_guarantee(spark, sf, embeddings, name):
+    """The a-priori bound of 16 rows: the best over k of the energy past k directions, by 16 - k."""
+    _, a, b, gamma = embeddings
+    lam = np.linalg.eigvalsh(a.T @ a)[::-1]
+    lost = min(lam[k:].sum() / (16 - k) for k in range(16))
+    x = np.linalg.solve(a.T @ a + gamma * np.eye(a.shape[1]), a.T @ b)
+    error = np.linalg.norm(coefficients_of(spark, sf, name) - x) / np.linalg.norm(x)
+    assert 1e-6 < error <= lost / gamma / (2 if name.startswith("robust") else 1)
+
+
 def test_measures_hold(spark, sf):
     gaps = QUERIES["measure_prediction_gap"](spark, sf).collect()
     assert gaps and all(r["gap"] <= r["bound"] * (1 + 1e-9) for r in gaps)

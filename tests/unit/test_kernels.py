@@ -7,7 +7,7 @@ from spectral_ridge.operators.features import cosine_matrix
 from spectral_ridge.operators.solve import certificate, coefficients, gram_of, solve_components, solve_dual, solve_pinv, solve_primal, solve_rows, solve_spectral
 from spectral_ridge.plans import bounds, metrics
 from spectral_ridge.plans.planner import choose_fan_in, choose_method, choose_solver, rows_for_target
-from spectral_ridge.plans.risk import monte_carlo, risk, risk_factors, robust_printed_factors
+from spectral_ridge.plans.risk import held_out_risk, monte_carlo, risk, risk_factors, robust_printed_factors
 from spectral_ridge.sketch import METHODS, SPECTRAL, SketchRow, make_sketcher
 from spectral_ridge.sketch.base import hash_uniform
 from spectral_ridge.sketch.spectral import SparseSpectralSketcher, factor
@@ -194,6 +194,15 @@ def test_tails_from_a_sketch_are_upper_bounds():
     assert rows_for_target(upper, 400.0, 0.1) >= bounds.required_rows(tail, 400.0, 0.1, True)[0]
 
 
+def test_held_out_risk_against_drawn_noise():
+    (a, _), (other, _) = data(n=200, d=10), data(n=80, d=10, seed=1)
+    x, rng = np.random.default_rng(4).standard_normal(10), np.random.default_rng(5)
+    targets = (a @ x)[:, None] + 1.5 * rng.standard_normal((200, 4000))
+    for gamma, expected in zip((1.0, 64.0), held_out_risk(a.T @ a, other.T @ other, x, 1.5, (1.0, 64.0))):
+        found = np.linalg.solve(a.T @ a + gamma * np.eye(10), a.T @ targets)
+        assert ((other @ (found - x[:, None])) ** 2).sum(axis=0).mean() == pytest.approx(expected, rel=0.05)
+
+
 def test_risk_forms():
     a, b = data(300, 12)
     x = np.random.default_rng(2).normal(size=12)
