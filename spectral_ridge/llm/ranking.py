@@ -135,11 +135,12 @@ def in_training(doc_id: F.Column) -> F.Column:
 
 
 def learn(docs: DataFrame, labels: DataFrame, max_rows: int = 20_000) -> PairwiseRanker:
-    """Fit on at most ``max_rows`` labelled training rows, those whose ids hash lowest."""
+    """Fit on at most ``max_rows`` labelled training rows, those whose ids hash lowest. An id counts
+    once, however often it repeats: with its least label and its least text."""
     known = labels.where(labels["quality"].isNotNull() & labels["doc_id"].isNotNull() & in_training(labels["doc_id"])).select(labels["doc_id"].alias("label_id"), labels["quality"].alias("mark"))
-    known = known.orderBy(F.xxhash64("label_id"), "label_id", "mark").limit(max_rows)
+    known = known.groupBy("label_id").agg(F.min("mark").alias("mark")).orderBy(F.xxhash64("label_id"), "label_id").limit(max_rows)
     text = first_columns(docs, "doc_id", "text")
-    chosen = text.join(F.broadcast(known), text["doc_id"] == known["label_id"]).select("doc_id", "text", "mark")
+    chosen = text.join(F.broadcast(known), text["doc_id"] == known["label_id"]).groupBy("doc_id").agg(F.min("text").alias("text"))
     features = feature_table(chosen).withColumnRenamed("doc_id", "of")
     rows = features.join(F.broadcast(known), F.col("of") == F.col("label_id")).select("of", "features", "mark").collect()
     rows.sort(key=lambda r: (r[0], r[2], tuple(r[1])))

@@ -152,16 +152,18 @@ def _feature_counts(docs: DataFrame) -> DataFrame:
 
 def learn(docs: DataFrame, labels: DataFrame, max_rows: int = 20_000, vocabulary_size: int = 4096, min_z: float = 1.5) -> OrdinalModel:
     """Fit on at most ``max_rows`` labelled rows (those whose ids hash lowest), with the
-    ``vocabulary_size`` features of surest evidence.
+    ``vocabulary_size`` features of surest evidence. An id counts once, however often it repeats:
+    with its largest label and its least text.
 
     With no toxic or no other label, the model has no features and calls nothing toxic.
     """
     known = labels.where(labels["toxic"].isin(0, 1) & labels["doc_id"].isNotNull())
     known = known.select(labels["doc_id"].alias("label_id"), labels["toxic"].cast("int").alias("mark"))
-    known = known.orderBy(F.xxhash64("label_id"), "label_id", "mark").limit(max_rows)
+    known = known.groupBy("label_id").agg(F.max("mark").alias("mark")).orderBy(F.xxhash64("label_id"), "label_id").limit(max_rows)
     text = first_columns(docs, "doc_id", "text")
     joined = text.join(F.broadcast(known), text["doc_id"] == known["label_id"])
-    chosen = materialise(joined.select("text", "mark"), "severity-sample")
+    once = joined.groupBy("label_id", "mark").agg(F.min("text").alias("text"))
+    chosen = materialise(once.select("text", "mark"), "severity-sample")
     totals = {r[0]: r[1] for r in chosen.groupBy("mark").count().collect()}
     bad, good = totals.get(1, 0), totals.get(0, 0)
     if not bad or not good:

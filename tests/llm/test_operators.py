@@ -137,6 +137,21 @@ def test_ranking_edge_cases(spark, odd_docs, no_docs):
     assert ranking.keep_good(odd_docs, empty).schema == odd_docs.schema
 
 
+def test_training_rows_stay_bounded_when_ids_repeat(spark, monkeypatch):
+    """An id with most of the rows, and labels given twice, are one training row each."""
+    table = [(i, f"plain words of text number {i} and some more") for i in range(40)] + [(1, "other")] * 500
+    docs = spark.createDataFrame([(i, t + (" vile" if i % 3 == 0 else "")) for i, t in table], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2, int(i % 3 == 0)) for i in range(40)] * 3 + [(1, 0, 1)], "doc_id long, quality int, toxic int")
+    held = []
+    for module, name in ((ranking, "fit_ranker"), (severity, "fit_texts")):
+        monkeypatch.setattr(module, name, lambda *x: held.append(x))
+    ranking.learn(docs, labels)
+    severity.learn(docs, labels, min_z=0.0)
+    trained = [i for i in range(40) if zlib.crc32(str(i).encode()) % 5]
+    assert held[0][1].tolist() == [int(i % 2 and i != 1) for i in trained]
+    assert len(held[1][0]) == 40 and held[1][1].sum() == 15
+
+
 def test_pairwise_fit_orders_a_planted_score():
     rng = np.random.default_rng(1)
     x = rng.normal(size=(600, 5))
