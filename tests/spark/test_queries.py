@@ -138,3 +138,12 @@ def test_measures_hold(spark, sf):
     assert abs(risk["monte_carlo"] / risk["risk"] - 1) < 0.1
     space = {r["method"]: r["floats"] for r in QUERIES["measure_space"](spark, sf).collect()}
     assert space["fd_ridge"] < space["exact_ridge"]
+
+
+def test_gamma_grid_reads_its_ranges_from_the_table(spark, tmp_path):
+    """Other rows, other grids."""
+    spark.createDataFrame([(1, 2.0), (1, 4.0), (2, 3.0), (3, 1.0), (4, 0.0), (5, 0.5)], "l_linenumber int, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = {(r.l_linenumber, r.i): r.gamma for r in entry.queries()["op_udtf_gamma_grid"](spark, str(tmp_path)).collect()}
+    assert len(got) == 24 and not any(k == 4 for k, _ in got)
+    assert {got[3, i] for i in range(6)} == {1} and got[5, 0] == 1 and got[5, 5] == 0.25
+    assert got[1, 0] == 2 and got[1, 5] == 20 and got[2, 0] == 1 and got[2, 5] == 9 and got[2, 1] == round(9**0.2, 3)
